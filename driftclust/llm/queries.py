@@ -25,6 +25,28 @@ select doc_id, keep_id, group_size, doc_id = keep_id as kept, text_sha256 from d
 """
 
 
+def op7_decontaminate(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from .decontaminate import matches
+
+    return matches(read(spark, sf_dir, "documents", "doc_id", "text"), read(spark, sf_dir, "benchmark", "item_id", "text"))
+
+
+OP7_SQL = """
+with words as (
+  select 'd' as kind, doc_id as id, regexp_extract_all(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[^\\x20\\x09-\\x0D]+') as w from documents
+  union all
+  select 'i', item_id, regexp_extract_all(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[^\\x20\\x09-\\x0D]+') from benchmark
+), sh as (
+  select distinct kind, id, s from (
+    select kind, id, unnest(case when len(w) = 0 then []::varchar[] when len(w) < 5 then ['<' || array_to_string(w, ' ')]
+      else list_transform(range(1, len(w) - 3), lambda i: array_to_string(w[i:i + 4], ' ')) end) as s from words)
+), items as (select id as item_id, s, count(*) over (partition by id) as n_item from sh where kind = 'i')
+select d.id as doc_id, item_id, n_item, count(*) as n_shared, count(*) / n_item as containment
+from sh d join items using (s) where d.kind = 'd'
+group by 1, 2, 3 having count(*) * 1000 >= n_item * 800
+"""
+
+
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
     return {name: f for name, f in globals().items() if name.startswith("op") and name[2].isdigit() and callable(f)}
 
