@@ -12,6 +12,20 @@ def read(spark: SparkSession, sf_dir: str, table: str, *columns: str) -> DataFra
     return df.select(*columns) if columns else df
 
 
+def op1_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from .toxicity import score, train
+
+    docs = read(spark, sf_dir, "documents", "doc_id", "text")
+    return score(docs, train(docs, read(spark, sf_dir, "labels", "doc_id", "toxic")))
+
+
+def op6_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from .quality import score, train
+
+    docs = read(spark, sf_dir, "documents", "doc_id", "text")
+    return score(docs, train(docs, read(spark, sf_dir, "labels", "doc_id", "quality")))
+
+
 def op5_exact_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     from .exact_dedup import classes
 
