@@ -29,11 +29,13 @@ from .scratch import materialise, prepare
 @dataclass(frozen=True)
 class FtrlParams:
     bits: int = 20
-    alpha: float = 0.3
+    alpha: float = 1.0
     beta: float = 1.0
-    l1: float = 1.0
+    l1: float = 20.0
     l2: float = 1.0
     epochs: int = 3
+    #: Weight of a row labelled 1: most rows are labelled 0.
+    positive: float = 3.0
     #: At most so many labelled rows are trained on.
     max_rows: int = 20_000
 
@@ -68,6 +70,7 @@ def ftrl(examples: list[tuple[np.ndarray, int]], p: FtrlParams) -> LinearModel:
             w = weights(i)
             w[-1] = -z[-1] / ((p.beta + np.sqrt(n[-1])) / p.alpha)
             g = 1.0 / (1.0 + np.exp(-np.clip(w.sum(), -35, 35))) - y
+            g *= p.positive if y else 1.0
             grown = np.sqrt(n[i] + g * g)
             z[i] += g - (grown - np.sqrt(n[i])) / p.alpha * w
             n[i] += g * g
