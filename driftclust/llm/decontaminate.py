@@ -43,18 +43,15 @@ def shingle_rows(df: DataFrame, key: str, width: int) -> DataFrame:
     """(key, places, sh): a row for each place of a shingle, with their number.
 
     The shifted copies of the word array are zipped and unnested, so hashing
-    happens in generated code, row by row, after the generator.
+    happens in generated code, row by row, after the generator. In a text of
+    fewer words than ``width`` the later copies are empty: the zip pads its one
+    row with nulls, which the hash passes over.
     """
-    words = df.select(key, word_array(F.col("text")).alias("w")).withColumn("n", F.size("w"))
-    full = words.where(F.col("n") >= width).select(
-        key,
-        (F.col("n") - (width - 1)).alias("places"),
-        F.inline(F.arrays_zip(*[F.slice("w", k + 1, F.col("n") - (width - 1)).alias(f"w{k}") for k in range(width)])),
-    )
-    columns = full.columns[2:]
-    full = full.select(key, "places", F.xxhash64(*[F.col(f"`{c}`") for c in columns]).alias("sh"))
-    short = words.where((F.col("n") > 0) & (F.col("n") < width)).select(key, F.lit(1).alias("places"), F.xxhash64(F.concat_ws(" ", "w"), F.lit("short")).alias("sh"))
-    return full.unionByName(short)
+    words = df.select(key, word_array(F.col("text")).alias("w"))
+    places = F.greatest(F.size("w") - (width - 1), F.least(F.size("w"), F.lit(1)))
+    words = words.select(key, "w", places.alias("places"))
+    rows = words.select(key, "places", F.inline(F.arrays_zip(*[F.slice("w", k + 1, F.col("places")).alias(f"w{k}") for k in range(width)])))
+    return rows.select(key, "places", F.xxhash64(*[F.col(f"`{c}`") for c in rows.columns[2:]]).alias("sh"))
 
 
 def sketches(items: DataFrame, threshold: float, width: int) -> DataFrame:
@@ -99,7 +96,8 @@ def matches(docs: DataFrame, items: DataFrame, threshold: float = 0.8, width: in
     found = materialise(found, "benchmark-candidates")
     ids = found.select(F.col("doc_id").alias("cand_id")).distinct()
     if (n_ids := ids.count()) <= BROADCAST_ROWS:
-        docs = docs.join(F.broadcast(ids), docs["doc_id"].eqNullSafe(ids["cand_id"]), "left_semi")
+        # Written out, or the optimiser would split all texts before this join.
+        docs = materialise(docs.join(F.broadcast(ids), docs["doc_id"].eqNullSafe(ids["cand_id"]), "left_semi"), "benchmark-texts")
     cand = _bounded(found.select(F.col("doc_id").alias("c_doc"), F.col("item_id").alias("c_item")), n_ids)
     stream = shingle_rows(docs, "doc_id", width).select("doc_id", "sh")
     every = _bounded(known.select("item_id", "sh", "n_item", "need"), n_known)
