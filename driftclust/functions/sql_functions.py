@@ -6,29 +6,30 @@ import numpy as np
 import pandas as pd
 from pyspark.sql import SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 from ..operators import merging
 from ..params import Params
 
 
-@F.pandas_udf("double")
+@F.pandas_udf(T.DoubleType())
 def gap_log(n_i: pd.Series, v_i: pd.Series, n_j: pd.Series, v_j: pd.Series) -> pd.Series:
     """Log density gap of two clusters from counts and variances on their line."""
     return pd.Series([-float(merging.log_mixture(a, b, c, d).min()) for a, b, c, d in zip(n_i, v_i, n_j, v_j, strict=True)])
 
 
-@F.pandas_udf("double")
+@F.pandas_udf(T.DoubleType())
 def vec_dist(a: pd.Series, b: pd.Series) -> pd.Series:
     return pd.Series([float(np.linalg.norm(np.asarray(p) - np.asarray(q))) for p, q in zip(a, b, strict=True)])
 
 
-@F.pandas_udf("array<double>")
+@F.pandas_udf(T.ArrayType(T.DoubleType()))
 def vec_mean(x: pd.Series) -> list:
     """Aggregate: mean vector of a group."""
     return np.mean(np.array(x.to_list()), axis=0).tolist()
 
 
-@F.udtf(returnType="step int, u double, log_m double")
+@F.udtf(returnType=T.StructType([T.StructField("step", T.IntegerType()), T.StructField("u", T.DoubleType()), T.StructField("log_m", T.DoubleType())]))
 class GapCurve:
     """gap_curve(n_i, v_i, n_j, v_j): the log mixture density at 101 places."""
 
@@ -37,7 +38,7 @@ class GapCurve:
             yield step - 50, float(u), float(m)
 
 
-@F.udtf(returnType="obj_id bigint, cluster int")
+@F.udtf(returnType=T.StructType([T.StructField("obj_id", T.LongType()), T.StructField("cluster", T.IntegerType())]))
 class ClusterChunk:
     """cluster_chunk(TABLE t): the whole method on a chunk of (obj_id, x)."""
 
