@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .scratch import materialise
+from .scratch import materialise, remove
 
 
 def components(edges: DataFrame, most_rounds: int = 60) -> DataFrame:
@@ -27,7 +27,8 @@ def components(edges: DataFrame, most_rounds: int = 60) -> DataFrame:
         small = large.groupBy(F.col("hi").alias("u")).agg(F.min("lo").alias("m"))
         moved = large.join(small, large["hi"] == small["u"]).select("hi", "lo", "m")
         nxt = moved.select(F.col("lo").alias("hi"), F.col("m").alias("lo")).where("hi <> lo").unionByName(small.select(F.col("u").alias("hi"), F.col("m").alias("lo"))).distinct()
-        e = materialise(nxt, "edges")
+        old, e = e, materialise(nxt, "edges")
+        remove(e.sparkSession, old.scratch_path)
         now = _mark(e)
         if now == mark:
             return e.select(F.col("hi").alias("node"), F.col("lo").alias("root")).unionByName(e.select(F.col("lo").alias("node"), F.col("lo").alias("root")).distinct())

@@ -35,7 +35,7 @@ from pyspark.sql import functions as F
 
 from . import bloom, kernels
 from .graph import components
-from .scratch import materialise, prepare
+from .scratch import materialise, prepare, release
 
 SKETCH_BITS = 22
 _PART = 1 << 16
@@ -52,17 +52,22 @@ def frequency_classes(docs: DataFrame, width: int) -> np.ndarray:
     shift = np.uint64(64 - SKETCH_BITS)
 
     def count(batches):
-        total = np.zeros(1 << SKETCH_BITS, np.int64)
+        total = np.zeros(1 << SKETCH_BITS, np.uint32)
+
+        def flush(held):
+            cells, n = np.unique(np.concatenate(held), return_counts=True)
+            total[cells] += n.astype(np.uint32)
+
         for batch in batches:
             held, size = [], 0
             for _, s in kernels.text_shingles(batch.column(0), width):
-                held.append((s >> shift).astype(np.int64))
+                held.append((s >> shift).astype(np.uint32))
                 size += len(s)
-                if size > 1 << 21:
-                    total += np.bincount(np.concatenate(held), minlength=len(total))
+                if size > 1 << 18:
+                    flush(held)
                     held, size = [], 0
             if held:
-                total += np.bincount(np.concatenate(held), minlength=len(total))
+                flush(held)
         for p in range(0, len(total), _PART):
             part = total[p : p + _PART]
             if part.any():
@@ -96,8 +101,8 @@ def least_overlap(n: int, percent: int) -> int:
     return -(-n * percent // 100)
 
 
-def prefix(s: np.ndarray, classes: np.ndarray, percent: int) -> tuple[int, np.ndarray]:
-    """(l, prefix) of a sorted set, by estimated cost."""
+def prefix(s: np.ndarray, classes: np.ndarray, percent: int) -> tuple[int, np.ndarray, int]:
+    """(l, prefix, place of its last shingle in the order of all), by estimated cost."""
     n = len(s)
     kind = classes[(s >> np.uint64(64 - SKETCH_BITS)).astype(np.int64)]
     order = np.argsort(kind, kind="stable")
@@ -108,24 +113,25 @@ def prefix(s: np.ndarray, classes: np.ndarray, percent: int) -> tuple[int, np.nd
     length = n - need + l
     cost = length + others[length - 1] * (1 + n / (8 * l))
     best = int(np.argmin(cost))
-    return best + 1, s[order[: length[best]]]
+    end = order[length[best] - 1]
+    return best + 1, s[order[: length[best]]], (int(kind[end]) << 56) | int(s[end] >> np.uint64(8))
 
 
 def signatures(docs: DataFrame, classes: np.ndarray, width: int, percent: int) -> DataFrame:
-    """doc_id, cid, n, l, prefix (binary hashes) of each document with shingles."""
+    """doc_id, cid, n, l, last, prefix (binary hashes) of each document."""
     shared = docs.sparkSession.sparkContext.broadcast(classes)
 
     def sign(batches):
         for batch in batches:
             rows = []
             for _, s in kernels.text_shingles(batch.column("text"), width):
-                l, p = prefix(s, shared.value, percent) if len(s) else (0, s)  # noqa: E741
-                rows.append((class_id(s) if len(s) else 0, len(s), l, p.tobytes()))
+                l, p, last = prefix(s, shared.value, percent) if len(s) else (0, s, 0)  # noqa: E741
+                rows.append((class_id(s) if len(s) else 0, len(s), l, last, p.tobytes()))
             if rows:
-                cid, n, l, p = zip(*rows, strict=True)  # noqa: E741
-                yield pa.RecordBatch.from_arrays([batch.column("doc_id"), pa.array(cid, pa.int64()), pa.array(n, pa.int64()), pa.array(l, pa.int32()), pa.array(p, pa.binary())], ["doc_id", "cid", "n", "l", "prefix"])
+                cols = [pa.array(c, t) for c, t in zip(zip(*rows, strict=True), (pa.int64(), pa.int64(), pa.int32(), pa.int64(), pa.binary()), strict=True)]
+                yield pa.RecordBatch.from_arrays([batch.column("doc_id"), *cols], ["doc_id", "cid", "n", "l", "last", "prefix"])
 
-    return docs.select("doc_id", "text").mapInArrow(sign, "doc_id long, cid long, n long, l int, prefix binary")
+    return docs.select("doc_id", "text").mapInArrow(sign, "doc_id long, cid long, n long, l int, last long, prefix binary")
 
 
 def _one_each(signed: DataFrame) -> DataFrame:
@@ -146,7 +152,7 @@ def _one_each(signed: DataFrame) -> DataFrame:
 
 
 def _tokens(signed: DataFrame) -> DataFrame:
-    """(token, cid, n, l): a row for each prefix shingle."""
+    """(token, cid, n, l, last): a row for each prefix shingle."""
 
     def spread(batches):
         for batch in batches:
@@ -155,9 +161,9 @@ def _tokens(signed: DataFrame) -> DataFrame:
             for lo in range(0, len(parts), 512):
                 at = np.repeat(np.arange(lo, min(lo + 512, len(parts))), k[lo : lo + 512])
                 take = pa.array(at)
-                yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(parts[lo : lo + 512]), pa.int64()), batch.column("cid").take(take), batch.column("n").take(take), batch.column("l").take(take)], ["token", "cid", "n", "l"])
+                yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(parts[lo : lo + 512]), pa.int64()), batch.column("cid").take(take), batch.column("n").take(take), batch.column("l").take(take), batch.column("last").take(take)], ["token", "cid", "n", "l", "last"])
 
-    return signed.select("cid", "n", "l", "prefix").mapInArrow(spread, "token long, cid long, n long, l int")
+    return signed.select("cid", "n", "l", "last", "prefix").mapInArrow(spread, "token long, cid long, n long, l int, last long")
 
 
 def verified(docs: DataFrame, reps: DataFrame, pairs: DataFrame, width: int, percent: int) -> DataFrame:
@@ -179,15 +185,13 @@ def verified(docs: DataFrame, reps: DataFrame, pairs: DataFrame, width: int, per
                 yield pa.RecordBatch.from_arrays([pa.array([class_id(s) for s in found], pa.int64()), kernels.binary_column(found)], ["cid", "s"])
 
     made = docs.select(F.xxhash64("doc_id").alias("h"), "text").mapInArrow(sets, "cid long, s binary")
-    made = materialise(made.join(need, "cid", "left_semi"), "sets")
     first, second = made.select(F.col("cid").alias("a"), F.col("s").alias("sa")), made.select(F.col("cid").alias("b"), F.col("s").alias("sb"))
 
     def similar(batches):
         for batch in batches:
-            ok = []
-            for x, y in zip(batch.column("sa").to_pylist(), batch.column("sb").to_pylist(), strict=True):
-                x, y = np.frombuffer(x, np.uint64), np.frombuffer(y, np.uint64)
-                both = np.concatenate([x, y])
+            ok, sa, sb = [], batch.column("sa"), batch.column("sb")
+            for i in range(len(sa)):
+                both = np.concatenate([np.frombuffer(sa[i].as_buffer(), np.uint64), np.frombuffer(sb[i].as_buffer(), np.uint64)])
                 both.sort()
                 shared_n = int((both[1:] == both[:-1]).sum())
                 ok.append(100 * shared_n >= percent * (len(both) - shared_n))
@@ -196,43 +200,66 @@ def verified(docs: DataFrame, reps: DataFrame, pairs: DataFrame, width: int, per
     return pairs.select("a", "b").join(first, "a").join(second, "b").select("a", "b", "sa", "sb").mapInArrow(similar, "a long, b long").distinct()
 
 
+def _may_link(m, percent: int):
+    """Whether sets p and q that share m prefix shingles can be similar enough.
+
+    Of two prefixes, the one whose last shingle comes first in the order of all
+    ends where everything shared so far is counted: beyond it only the rest of
+    its own set, ceil(t n) - l shingles, can still be shared.
+    """
+    need = lambda n: F.floor((n * percent + 99) / 100)
+    rest_p, rest_q = need(F.col("np")) - F.col("lp"), need(F.col("nq")) - F.col("lq")
+    rest = F.when(F.col("ep") < F.col("eq"), rest_p).when(F.col("ep") > F.col("eq"), rest_q).otherwise(F.least(rest_p, rest_q))
+    return (m >= F.least("lp", "lq")) & ((m + rest) * (100 + percent) >= (F.col("np") + F.col("nq")) * percent)
+
+
 def link(docs: DataFrame, width: int = 5, percent: int = 80) -> tuple[DataFrame, DataFrame]:
     """(members, roots): doc_id, cid, n of all rows; node, root of linked classes."""
     prepare(docs.sparkSession)
     signed = materialise(signatures(docs, frequency_classes(docs, width), width, percent), "signatures")
-    ones = materialise(_one_each(signed), "classes")
-    reps = ones.select("cid", "doc_id")
+    members = materialise(signed.select("doc_id", "cid", "n"), "members")
+    ones = _one_each(signed)
+    reps = materialise(ones.select("cid", "doc_id"), "classes")
     by_size = Window.partitionBy("token").orderBy("n", "cid")
-    rows = _tokens(ones).select("token", "cid", "n", "l", F.lag("cid").over(by_size).alias("before"), F.lag("n").over(by_size).alias("before_n"), F.lead("cid").over(by_size).alias("after"))
-    rows = materialise(rows.where("before is not null or after is not null").drop("after"), "shared-shingles")
-    near = rows.where(F.col("before").isNotNull() & (F.col("before_n") * 100 >= F.col("n") * percent))
-    near = near.groupBy(F.col("before").alias("a"), F.col("cid").alias("b")).agg(F.count("*").alias("m"))
-    best = near.groupBy("b").agg(F.max_by("a", F.struct("m", "a")).alias("a"))
-    links = materialise(verified(docs, reps, materialise(best, "near-pairs"), width, percent), "links")
+    mine = ["token", "cid", "n", "l", "last"]
+    before = [F.lag(c).over(by_size).alias(a) for c, a in (("cid", "a"), ("n", "np"), ("l", "lp"), ("last", "ep"))]
+    rows = _tokens(ones).select(*mine, *before, F.lead("cid").over(by_size).alias("after"))
+    rows = materialise(rows.where("a is not null or after is not null").drop("after"), "shared-shingles")
+    release(signed)
+    # First links: the best predecessor, if it would do with twice the shingles
+    # that it shares as a neighbour in size order.
+    near = rows.where(F.col("a").isNotNull() & (F.col("np") * 100 >= F.col("n") * percent))
+    near = near.groupBy("a", F.col("cid").alias("b"), "np", "lp", "ep", F.col("n").alias("nq"), F.col("l").alias("lq"), F.col("last").alias("eq")).agg(F.count("*").alias("m"))
+    best = near.where(_may_link(2 * F.col("m"), percent)).groupBy("b").agg(F.max_by("a", F.struct("m", "a")).alias("a"))
+    best = materialise(best, "near-pairs")
+    links = materialise(verified(docs, reps, best, width, percent), "links")
     roots = materialise(components(links), "roots")
     # What is left: pairs of classes in different components.
-    rows = rows.drop("before", "before_n").join(roots.withColumnRenamed("node", "cid"), "cid", "left").withColumn("root", F.coalesce("root", "cid"))
-    rows = materialise(rows, "open-shingles")
-    mixed = rows.groupBy("token").agg(F.min("root").alias("lo"), F.max("root").alias("hi")).where("lo <> hi").select("token")
-    rows = materialise(rows.join(mixed, "token", "left_semi"), "mixed-shingles")
+    open_rows = rows.select(*mine).join(roots.withColumnRenamed("node", "cid"), "cid", "left").withColumn("root", F.coalesce("root", "cid"))
+    open_rows = materialise(open_rows, "open-shingles")
+    release(rows, best, links)
+    mixed = open_rows.groupBy("token").agg(F.min("root").alias("lo"), F.max("root").alias("hi")).where("lo <> hi").select("token")
+    rows = materialise(open_rows.join(mixed, "token", "left_semi"), "mixed-shingles")
+    release(open_rows)
     sides = rows.groupBy("token", "root").agg(F.min("n").alias("least_n"), F.max("n").alias("most_n"))
     x, y = sides.alias("x"), sides.alias("y")
-    across = x.join(y, (F.col("x.token") == F.col("y.token")) & (F.col("x.root") < F.col("y.root")) & (F.col("x.most_n") * 100 >= F.col("y.least_n") * percent) & (F.col("y.most_n") * 100 >= F.col("x.least_n") * percent)).select(F.col("x.token").alias("token"), F.col("x.root").alias("ra"), F.col("y.root").alias("rb"))
-    p, q = rows.alias("p"), rows.alias("q")
-    fits = (F.col("p.n") * 100 >= F.col("q.n") * percent) & (F.col("q.n") * 100 >= F.col("p.n") * percent)
+    across = x.join(y, (F.col("x.token") == F.col("y.token")) & (F.col("x.root") < F.col("y.root")) & (F.col("x.most_n") * 100 >= F.col("y.least_n") * percent) & (F.col("y.most_n") * 100 >= F.col("x.least_n") * percent)).select(F.col("x.token").alias("t"), F.col("x.root").alias("ra"), F.col("y.root").alias("rb"))
+    p = rows.select(F.col("token").alias("tp"), F.col("root").alias("rp"), F.col("cid").alias("a"), F.col("n").alias("np"), F.col("l").alias("lp"), F.col("last").alias("ep"))
+    q = rows.select(F.col("token").alias("tq"), F.col("root").alias("rq"), F.col("cid").alias("b"), F.col("n").alias("nq"), F.col("l").alias("lq"), F.col("last").alias("eq"))
+    fits = (F.col("np") * 100 >= F.col("nq") * percent) & (F.col("nq") * 100 >= F.col("np") * percent)
     open_pairs = (
-        across.join(p, (across["token"] == F.col("p.token")) & (across["ra"] == F.col("p.root")))
-        .select(across["token"], "rb", F.col("p.cid").alias("a"), F.col("p.n").alias("n"), F.col("p.l").alias("l"))
-        .alias("p")
-        .join(q, (F.col("p.token") == F.col("q.token")) & (F.col("p.rb") == F.col("q.root")) & fits)
-        .groupBy("a", F.col("q.cid").alias("b"))
-        .agg(F.count("*").alias("m"), F.min(F.least("p.l", "q.l")).alias("least"))
-        .where("m >= least")
+        across.join(p, (F.col("t") == F.col("tp")) & (F.col("ra") == F.col("rp")))
+        .join(q, (F.col("t") == F.col("tq")) & (F.col("rb") == F.col("rq")) & fits)
+        .groupBy("a", "b", "np", "nq", "lp", "lq", "ep", "eq")
+        .agg(F.count("*").alias("m"))
+        .where(_may_link(F.col("m"), percent))
         .select("a", "b")
     )
-    more = verified(docs, reps, materialise(open_pairs, "open-pairs"), width, percent)
+    open_pairs = materialise(open_pairs, "open-pairs")
+    release(rows)
+    more = verified(docs, reps, open_pairs, width, percent)
     roots = components(roots.select(F.col("node").alias("a"), F.col("root").alias("b")).unionByName(more))
-    return signed.select("doc_id", "cid", "n"), materialise(roots, "roots")
+    return members, materialise(roots, "roots")
 
 
 def near_copies(docs: DataFrame, width: int = 5, percent: int = 80) -> DataFrame:

@@ -7,6 +7,7 @@ share; a lost executor then costs a re-read, never a lost result.
 
 from __future__ import annotations
 
+import gc
 import os
 import tempfile
 import uuid
@@ -46,7 +47,19 @@ def materialise(df: DataFrame, name: str) -> DataFrame:
     spark = df.sparkSession
     path = new_dir(spark, name)
     df.write.parquet(path)
-    return spark.read.schema(df.schema).parquet(path)
+    out = spark.read.schema(df.schema).parquet(path)
+    out.scratch_path = path
+    return out
+
+
+def release(*frames: DataFrame) -> None:
+    """Delete what ``materialise`` wrote for these, and let Spark's cleaner drop
+    the shuffle files of plans that nothing refers to any more."""
+    for df in frames:
+        remove(df.sparkSession, df.scratch_path)
+    if frames:
+        gc.collect()
+        frames[0].sparkSession.sparkContext._jvm.System.gc()
 
 
 def remove(spark: SparkSession, path: str) -> None:

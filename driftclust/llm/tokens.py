@@ -188,14 +188,14 @@ class Encoder:
         data, offsets = kernels.utf8(column)
         cut, owner = safe_cuts(data, offsets)
         flat, count = [np.zeros(0, np.int32)], np.zeros(len(offsets) - 1, np.int64)
-        for lo, hi in kernels.blocks(cut):
+        for lo, hi in kernels.blocks(cut, 2 * kernels.BLOCK):
             ids, n = self._block(data[cut[lo] : cut[hi]], cut[lo : hi + 1] - cut[lo])
             flat.append(ids)
             np.add.at(count, owner[lo:hi], n)
         return np.concatenate(flat), np.concatenate([[0], np.cumsum(count)])
 
 
-def safe_cuts(data: np.ndarray, offsets: np.ndarray, limit: int = 4 * kernels.BLOCK) -> tuple[np.ndarray, np.ndarray]:
+def safe_cuts(data: np.ndarray, offsets: np.ndarray, limit: int = 8 * kernels.BLOCK) -> tuple[np.ndarray, np.ndarray]:
     """Row offsets with long rows split, and the row of each part.
 
     A split is put before a blank that follows an ASCII letter: a piece always
