@@ -149,7 +149,7 @@ def repeated(rows: list[tuple], depth: int) -> list[tuple[int, int, int, int]]:
         seen |= {key, (uid, h, at)}
         spots.append((uid, twin, at - lead, at - lead + len(raw), raw, h, ctx, at, rn))
     spots.sort(key=lambda s: s[:4])
-    parts, base, size, valid = [], [], 0, []
+    parts, base, size, valid, breaks = [], [], 0, [], []
     who, reach, home = None, -1, 0
     for uid, twin, lo, hi, raw, *_ in spots:
         if who == (uid, twin) and lo <= reach:
@@ -157,6 +157,7 @@ def repeated(rows: list[tuple], depth: int) -> list[tuple[int, int, int, int]]:
         else:
             if who is not None:
                 parts.append(b"\0")
+                breaks.append(size)
                 size += 1
             who, reach, home, fresh = (uid, twin), lo, size - lo, raw
         parts.append(fresh)
@@ -171,8 +172,9 @@ def repeated(rows: list[tuple], depth: int) -> list[tuple[int, int, int, int]]:
             usable[lo] += 1
             usable[hi] -= 1
     usable = np.cumsum(usable[:-1]) > 0
-    hashes = window_hashes(text, depth)
-    sa = suffix_array(text, depth, hashes)
+    breaks = np.array([*breaks, size])
+    hashes = window_hashes(text, depth, breaks[np.searchsorted(breaks, np.arange(len(text)))])
+    sa = suffix_array(text, depth, hashes, usable)
     sa = sa[usable[sa]]
     same = reaches(text, sa, depth, hashes)
     marked = np.zeros(len(text) + 1, bool)

@@ -25,14 +25,16 @@ def _words(text: np.ndarray) -> np.ndarray:
     return word
 
 
-def window_hashes(text: np.ndarray, depth: int) -> np.ndarray:
-    """Hash of the next ``depth`` bytes at each place, fewer at the end.
+def window_hashes(text: np.ndarray, depth: int, ends: np.ndarray | None = None) -> np.ndarray:
+    """Hash of the next ``depth`` bytes at each place, fewer at the end, or at
+    the end of the place's part of the text where ``ends`` gives it: what stands
+    behind that decides nothing.
 
     A polynomial hash modulo 2^64 with random byte values: unlike windows of
     under 1,024 bytes agree by chance alone, once in 2^64.
     """
     at = np.arange(len(text))
-    return kernels.span_hashes(text, at, np.minimum(at + depth, len(text)), fold=False)
+    return kernels.span_hashes(text, at, np.minimum(at + depth, len(text) if ends is None else ends), fold=False)
 
 
 def _direct(text: np.ndarray, which: np.ndarray, depth: int, hashes: np.ndarray) -> np.ndarray:
@@ -78,9 +80,13 @@ def _direct(text: np.ndarray, which: np.ndarray, depth: int, hashes: np.ndarray)
     return alike[kernels.segments(lead[order], size[order])]
 
 
-def suffix_array(text: np.ndarray, depth: int, hashes: np.ndarray | None = None) -> np.ndarray:
+def suffix_array(text: np.ndarray, depth: int, hashes: np.ndarray | None = None, wanted: np.ndarray | None = None) -> np.ndarray:
     """Starts of all suffixes in order of their first ``depth`` bytes or more.
 
+    With ``wanted``, only of these and of those that placing them takes: a
+    larger suffix is placed by its successor, so a run of wanted places is
+    followed up to the next suffix that is sorted directly.
+
     The text should end in a byte that is smaller than all before it.
     """
     n = len(text)
@@ -92,7 +98,14 @@ def suffix_array(text: np.ndarray, depth: int, hashes: np.ndarray | None = None)
     last = np.where(rise != 2, np.arange(n), n)
     last = np.minimum.accumulate(last[::-1])[::-1]
     small = rise[last] == 1
-    direct = _direct(text, np.flatnonzero(small), depth, window_hashes(text, depth) if hashes is None else hashes)
+    used = np.ones(n, bool)
+    if wanted is not None:
+        used = wanted.copy()
+        stop = np.minimum.accumulate(np.where(small, np.arange(n), n - 1)[::-1])[::-1]
+        runs = np.flatnonzero(wanted[:-1] & ~wanted[1:]) + 1
+        used[kernels.segments(runs, stop[runs] - runs + 1)] = True
+        used[n - 1] = True
+    direct = _direct(text, np.flatnonzero(small & used), depth, window_hashes(text, depth) if hashes is None else hashes)
     first = text[direct]
     edge = np.searchsorted(first, np.arange(257))
     induced: list[list[np.ndarray]] = [[] for _ in range(256)]
@@ -103,7 +116,7 @@ def suffix_array(text: np.ndarray, depth: int, hashes: np.ndarray | None = None)
     def hand_down(found: np.ndarray, byte: int) -> np.ndarray:
         """Give the larger predecessors to their buckets; those in this one."""
         before = found[found > 0] - 1
-        before = before[~small[before]]
+        before = before[~small[before] & used[before]]
         c = text[before]
         here = before[c == byte]
         up = c > byte
