@@ -152,7 +152,7 @@ def _one_each(signed: DataFrame) -> DataFrame:
 
 
 def _tokens(signed: DataFrame) -> DataFrame:
-    """(token, cid, n, l, last): a row for each prefix shingle."""
+    """(token, cid, n, l, last, pos): a row for each prefix shingle, pos from 1."""
 
     def spread(batches):
         for batch in batches:
@@ -161,9 +161,9 @@ def _tokens(signed: DataFrame) -> DataFrame:
             for lo in range(0, len(parts), 512):
                 at = np.repeat(np.arange(lo, min(lo + 512, len(parts))), k[lo : lo + 512])
                 take = pa.array(at)
-                yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(parts[lo : lo + 512]), pa.int64()), batch.column("cid").take(take), batch.column("n").take(take), batch.column("l").take(take), batch.column("last").take(take)], ["token", "cid", "n", "l", "last"])
+                yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(parts[lo : lo + 512]), pa.int64()), batch.column("cid").take(take), batch.column("n").take(take), batch.column("l").take(take), batch.column("last").take(take), pa.array(np.concatenate([np.arange(1, m + 1, dtype=np.int32) for m in k[lo : lo + 512]]))], ["token", "cid", "n", "l", "last", "pos"])
 
-    return signed.select("cid", "n", "l", "last", "prefix").mapInArrow(spread, "token long, cid long, n long, l int, last long")
+    return signed.select("cid", "n", "l", "last", "prefix").mapInArrow(spread, "token long, cid long, n long, l int, last long, pos int")
 
 
 def verified(docs: DataFrame, reps: DataFrame, pairs: DataFrame, width: int, percent: int) -> DataFrame:
@@ -221,7 +221,7 @@ def link(docs: DataFrame, width: int = 5, percent: int = 80) -> tuple[DataFrame,
     ones = _one_each(signed)
     reps = materialise(ones.select("cid", "doc_id"), "classes")
     by_size = Window.partitionBy("token").orderBy("n", "cid")
-    mine = ["token", "cid", "n", "l", "last"]
+    mine = ["token", "cid", "n", "l", "last", "pos"]
     before = [F.lag(c).over(by_size).alias(a) for c, a in (("cid", "a"), ("n", "np"), ("l", "lp"), ("last", "ep"))]
     rows = _tokens(ones).select(*mine, *before, F.lead("cid").over(by_size).alias("after"))
     rows = materialise(rows.where("a is not null or after is not null").drop("after"), "shared-shingles")
@@ -241,18 +241,20 @@ def link(docs: DataFrame, width: int = 5, percent: int = 80) -> tuple[DataFrame,
     mixed = open_rows.groupBy("token").agg(F.min("root").alias("lo"), F.max("root").alias("hi")).where("lo <> hi").select("token")
     rows = materialise(open_rows.join(mixed, "token", "left_semi"), "mixed-shingles")
     release(open_rows)
-    sides = rows.groupBy("token", "root").agg(F.min("n").alias("least_n"), F.max("n").alias("most_n"))
-    x, y = sides.alias("x"), sides.alias("y")
-    across = x.join(y, (F.col("x.token") == F.col("y.token")) & (F.col("x.root") < F.col("y.root")) & (F.col("x.most_n") * 100 >= F.col("y.least_n") * percent) & (F.col("y.most_n") * 100 >= F.col("x.least_n") * percent)).select(F.col("x.token").alias("t"), F.col("x.root").alias("ra"), F.col("y.root").alias("rb"))
-    p = rows.select(F.col("token").alias("tp"), F.col("root").alias("rp"), F.col("cid").alias("a"), F.col("n").alias("np"), F.col("l").alias("lp"), F.col("last").alias("ep"))
-    q = rows.select(F.col("token").alias("tq"), F.col("root").alias("rq"), F.col("cid").alias("b"), F.col("n").alias("nq"), F.col("l").alias("lq"), F.col("last").alias("eq"))
+    p = rows.select(F.col("token").alias("tp"), F.col("root").alias("rp"), F.col("cid").alias("a"), F.col("n").alias("np"), F.col("l").alias("lp"), F.col("pos").alias("ip"))
+    q = rows.select(F.col("token").alias("tq"), F.col("root").alias("rq"), F.col("cid").alias("b"), F.col("n").alias("nq"), F.col("l").alias("lq"), F.col("pos").alias("iq"))
+    # What the pair has to share, and how many shingles of how long prefixes
+    # that makes: both own prefixes are long enough for these.
+    need = lambda n: F.floor((F.col(n) * percent + 99) / 100)
+    alpha = F.floor(((F.col("np") + F.col("nq")) * percent + 99 + percent) / (100 + percent))
+    least = F.least(F.col("lp") + F.floor((alpha - need("np")) / 2), F.col("lq") + F.floor((alpha - need("nq")) / 2))
     fits = (F.col("np") * 100 >= F.col("nq") * percent) & (F.col("nq") * 100 >= F.col("np") * percent)
+    inside = (F.col("ip") <= F.col("np") - alpha + least) & (F.col("iq") <= F.col("nq") - alpha + least)
     open_pairs = (
-        across.join(p, (F.col("t") == F.col("tp")) & (F.col("ra") == F.col("rp")))
-        .join(q, (F.col("t") == F.col("tq")) & (F.col("rb") == F.col("rq")) & fits)
-        .groupBy("a", "b", "np", "nq", "lp", "lq", "ep", "eq")
+        p.join(q, (F.col("tp") == F.col("tq")) & (F.col("rp") < F.col("rq")) & fits & inside)
+        .groupBy("a", "b", "np", "nq", "lp", "lq")
         .agg(F.count("*").alias("m"))
-        .where(_may_link(F.col("m"), percent))
+        .where(F.col("m") >= least)
         .select("a", "b")
     )
     open_pairs = materialise(open_pairs, "open-pairs")
