@@ -14,16 +14,22 @@ import uuid
 
 from pyspark.sql import DataFrame, SparkSession
 
+#: Rows of an Arrow batch at most.
+BATCH_ROWS = 1000
 REPO = os.path.dirname(os.path.dirname(os.path.dirname(os.path.abspath(__file__))))
 
 
 def prepare(spark: SparkSession) -> None:
-    """Let Python workers import this package when it isn't installed."""
+    """Let Python workers import this package when it isn't installed, and keep
+    the batches of whole texts that they and the JVM hold small."""
     env = spark.sparkContext.environment
     paths = [p for p in env.get("PYTHONPATH", "").split(os.pathsep) if p]
     if REPO not in paths:
         env["PYTHONPATH"] = os.pathsep.join([*paths, REPO])
     env.setdefault("TOKENIZERS_PARALLELISM", "false")
+    batch = "spark.sql.execution.arrow.maxRecordsPerBatch"
+    if not 0 < int(spark.conf.get(batch)) <= BATCH_ROWS:
+        spark.conf.set(batch, BATCH_ROWS)
 
 
 def shared_dir(spark: SparkSession) -> str:
