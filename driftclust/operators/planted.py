@@ -29,15 +29,13 @@ def mixture(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     """chunk_id, obj_id, x, label. drift moves centres by the day and turns the
     sizes round from day 15 on; grid is a uniform ordinal lattice."""
     if name == "grid":
-        keys = spark.read.parquet(f"{sf_dir}/orders.parquet").where("o_orderkey < 3200").select(F.col("o_orderkey").alias("k"))
+        keys = spark.read.parquet(f"{sf_dir}/orders.parquet").select(F.col("o_orderkey").alias("k"))
         return keys.select(F.lit(0).cast("long").alias("chunk_id"), F.col("k").alias("obj_id"), F.array((F.col("k") % 8) / 7.0, (F.floor(F.col("k") / 8) % 8) / 7.0).alias("x"), (F.col("k") % 2).cast("int").alias("label"))
     source, key, spread, clusters = SPECS[name]
     rows = spark.read.parquet(f"{sf_dir}/{source}.parquet")
     day = F.lit(0)
     if name == "drift":
         day = F.datediff("ts", F.lit("2024-01-01"))
-    elif source == "orders":
-        rows = rows.where("o_orderkey < 3200")
     k = F.col(key)
     place = lcg(lcg(k + 17)) % 1000
     if name == "drift":

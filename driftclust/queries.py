@@ -239,24 +239,51 @@ def compactness_events(spark, d):
 _KNN = "with e as (select vec_id, list_transform(embedding, lambda v: v::double) x, label from embeddings where vec_id < 400), n as (select a.vec_id i, b.vec_id j, a.label la, b.label lb, row_number() over (partition by a.vec_id order by list_sum(list_transform(list_zip(a.x, b.x), lambda z: (z[1]-z[2])*(z[1]-z[2]))), b.vec_id) r from e a join e b on a.vec_id <> b.vec_id qualify r <= 10)"
 
 
-def _near(spark, d):
-    return map_frames.knn(_emb(spark, d).where("obj_id < 400"), 10, 4)
+_KNN_ALL = _KNN.replace(" where vec_id < 400", "")
+
+
+def _near(spark, d, whole: bool = False):
+    """Ten nearest vectors: of the id range that the SQL names, or of all."""
+    e = _emb(spark, d)
+    return map_frames.knn(e if whole else e.where("obj_id < 400"), 10, 4)
+
+
+def _nbr_sums(near):
+    return near.groupBy("obj_id").agg(F.sum("nbr_id").cast("decimal(38,0)").alias("nbr_sum"), F.count("*").alias("n")).withColumn("nbr_sum", F.col("nbr_sum").cast("long"))
+
+
+def _label_cross(spark, d, near):
+    return map_frames.cross_counts(near, _emb(spark, d).select("obj_id", F.col("label").alias("cell")))
 
 
 @query(_KNN + " select i as obj_id, sum(j) as nbr_sum, count(*) as n from n group by 1")
 def knn10_embeddings(spark, d):
-    return _near(spark, d).groupBy("obj_id").agg(F.sum("nbr_id").cast("decimal(38,0)").alias("nbr_sum"), F.count("*").alias("n")).withColumn("nbr_sum", F.col("nbr_sum").cast("long"))
+    return _nbr_sums(_near(spark, d))
+
+
+@query(_KNN_ALL + " select i as obj_id, sum(j) as nbr_sum, count(*) as n from n group by 1")
+def knn10_embeddings_all(spark, d):
+    return _nbr_sums(_near(spark, d, whole=True))
 
 
 @query(_KNN + " select la as cell_a, lb as cell_b, count(*) as c from n group by 1, 2")
 def cell_cross_counts(spark, d):
-    return map_frames.cross_counts(_near(spark, d), _emb(spark, d).select("obj_id", F.col("label").alias("cell")))
+    return _label_cross(spark, d, _near(spark, d))
+
+
+@query(_KNN_ALL + " select la as cell_a, lb as cell_b, count(*) as c from n group by 1, 2")
+def cell_cross_counts_all(spark, d):
+    return _label_cross(spark, d, _near(spark, d, whole=True))
 
 
 @query(_KNN + " select max(f) / 10.0::double as omega from (select la, count(*) f from n where la <> lb group by 1)")
 def omega_embeddings_labels(spark, d):
-    cross = map_frames.cross_counts(_near(spark, d), _emb(spark, d).select("obj_id", F.col("label").alias("cell")))
-    return map_frames.omega(cross, 10)
+    return map_frames.omega(_label_cross(spark, d, _near(spark, d)), 10)
+
+
+@query(_KNN_ALL + " select max(f) / 10.0::double as omega from (select la, count(*) f from n where la <> lb group by 1)")
+def omega_embeddings_labels_all(spark, d):
+    return map_frames.omega(_label_cross(spark, d, _near(spark, d, whole=True)), 10)
 
 
 _TRACE = "(values (6, 0.5::double, 9.0::double), (5, 0.9, 7.0), (4, 3.6, 2.0), (3, 10.7, 0.5), (2, 6.8, 0.2), (1, null, 0.0)) t(k, log_theta, omega)"
@@ -330,13 +357,13 @@ def sampler_stream_50(spark, d):
     return metrics.imbalance(s, ["chunk_id"], "label").select("chunk_id", F.round("ratio", 6).alias("ratio"), "k")
 
 
-def _planted_sql(name: str) -> str:
+def _planted_sql(name: str, whole: bool = False) -> str:
     source, key, spread, clusters = planted.SPECS[name]
     lcg = lambda v: f"(({v}) % 2147483648 * 1103515245 + 12345) % 2147483648"
     u1 = f"greatest({lcg(lcg(lcg('k * 2 + 5')))} / 2147483648.0::double, 1e-9)"
     u2 = f"{lcg(lcg(lcg('k * 2 + 16') + ' + 77'))} / 2147483648.0::double"
     cases = lambda j: "case " + " ".join(f"when place < {sum(c[2] for c in clusters[: i + 1])} then {c[j] if j < 2 else i}" for i, c in enumerate(clusters)) + " end"
-    where = " where o_orderkey < 3200" if source == "orders" else ""
+    where = " where o_orderkey < 3200" if source == "orders" and not whole else ""
     place = lcg(lcg("k + 17")) + " % 1000"
     day = "date_diff('day', date '2024-01-01', cast(ts as date))" if name == "drift" else "0"
     turned = f"case when day < 15 then {place} else 999 - {place} end"
@@ -347,15 +374,18 @@ def _planted_sql(name: str) -> str:
     )
 
 
-def _planted(name: str):
+def _planted(name: str, below: int = 0):
+    """The mixture as rows; with below, those ids only, as its SQL has them."""
     def run(spark, d):
-        return planted.mixture(spark, d, name).select("chunk_id", "obj_id", r(F.element_at("x", 1)).alias("x0"), r(F.element_at("x", 2)).alias("x1"), "label")
+        m = planted.mixture(spark, d, name)
+        return (m.where(F.col("obj_id") < below) if below else m).select("chunk_id", "obj_id", r(F.element_at("x", 1)).alias("x0"), r(F.element_at("x", 2)).alias("x1"), "label")
 
     return run
 
 
-for _name, _key in (("ga", "planted_ga_part"), ("id", "planted_id_orders"), ("drift", "planted_drift_events")):
-    query(_planted_sql(_name), _key)(_planted(_name))
+for _name, _key, _below in (("ga", "planted_ga_part", 0), ("id", "planted_id_orders", 3200), ("drift", "planted_drift_events", 0)):
+    query(_planted_sql(_name), _key)(_planted(_name, _below))
+query(_planted_sql("id", whole=True), "planted_id_orders_all")(_planted("id"))
 
 # --- Measures ----------------------------------------------------------------------
 
@@ -451,8 +481,13 @@ def kmeans_assign(spark, d):
 _DPC = "with e as (select vec_id i, list_transform(embedding, lambda v: v::double) x from embeddings where vec_id < 300), p as (select a.i, b.i j, list_sum(list_transform(list_zip(a.x, b.x), lambda z: (z[1]-z[2])*(z[1]-z[2]))) d2 from e a join e b on a.i <> b.i), r as (select i, count(*) filter (where d2 < 1.7) rho from p group by 1)"
 
 
-def _pairs300(spark, d):
-    e = _emb(spark, d).where("obj_id < 300")
+_DPC_ALL = _DPC.replace(" where vec_id < 300", "")
+
+
+def _pairs(spark, d, below: int = 0):
+    """Distances of all pairs; with below, of those ids only."""
+    e = _emb(spark, d)
+    e = e.where(F.col("obj_id") < below) if below else e
     a, b = e.alias("a"), e.alias("b")
     return a.join(b, F.col("a.obj_id") != F.col("b.obj_id")).select(F.col("a.obj_id").alias("i"), F.col("b.obj_id").alias("j"), features.sq_dist(F.col("a.x"), F.col("b.x")).alias("d2"))
 
@@ -463,22 +498,45 @@ def _rho(pairs):
 
 @query(_DPC + " select i as obj_id, rho from r")
 def dpc_density_embeddings(spark, d):
-    return _rho(_pairs300(spark, d)).select(F.col("i").alias("obj_id"), "rho")
+    return _rho(_pairs(spark, d, 300)).select(F.col("i").alias("obj_id"), "rho")
 
 
-@query(_DPC + " select p.i as obj_id, arg_min(p.j, (d2, p.j)) as parent, round(sqrt(min(d2)), 6) as delta from p join r a on a.i = p.i join r b on b.i = p.j where b.rho > a.rho or (b.rho = a.rho and p.j < p.i) group by 1")
-def dpc_delta_embeddings(spark, d):
-    p = _pairs300(spark, d)
+@query(_DPC_ALL + " select i as obj_id, rho from r")
+def dpc_density_embeddings_all(spark, d):
+    return _rho(_pairs(spark, d)).select(F.col("i").alias("obj_id"), "rho")
+
+
+def _delta(p):
+    """Nearest denser vector of each, and its distance."""
     rho = _rho(p)
     up = p.join(rho, "i").join(rho.select(F.col("i").alias("j"), F.col("rho").alias("rho_j")), "j").where((F.col("rho_j") > F.col("rho")) | ((F.col("rho_j") == F.col("rho")) & (F.col("j") < F.col("i"))))
     return up.groupBy(F.col("i").alias("obj_id")).agg(F.min_by("j", F.struct("d2", "j")).alias("parent"), F.round(F.sqrt(F.min("d2")), 6).alias("delta"))
 
 
+@query(_DPC + " select p.i as obj_id, arg_min(p.j, (d2, p.j)) as parent, round(sqrt(min(d2)), 6) as delta from p join r a on a.i = p.i join r b on b.i = p.j where b.rho > a.rho or (b.rho = a.rho and p.j < p.i) group by 1")
+def dpc_delta_embeddings(spark, d):
+    return _delta(_pairs(spark, d, 300))
+
+
+@query(_DPC_ALL + " select p.i as obj_id, arg_min(p.j, (d2, p.j)) as parent, round(sqrt(min(d2)), 6) as delta from p join r a on a.i = p.i join r b on b.i = p.j where b.rho > a.rho or (b.rho = a.rho and p.j < p.i) group by 1")
+def dpc_delta_embeddings_all(spark, d):
+    return _delta(_pairs(spark, d))
+
+
+def _fknn(spark, d, near):
+    e = _emb(spark, d)
+    near = near.join(e.select("obj_id", "x"), "obj_id").join(e.select(F.col("obj_id").alias("nbr_id"), F.col("x").alias("y")), "nbr_id")
+    return near.groupBy("obj_id").agg(F.round(F.sum(F.exp(-features.dist(F.col("x"), F.col("y")))), 6).alias("density"))
+
+
 @query(_KNN.replace("la, b.label lb,", "la, b.label lb, list_sum(list_transform(list_zip(a.x, b.x), lambda z: (z[1]-z[2])*(z[1]-z[2]))) d2,") + " select i as obj_id, round(sum(exp(-sqrt(d2))), 6) as density from n group by 1")
 def fknn_density(spark, d):
-    e = _emb(spark, d).where("obj_id < 400")
-    near = _near(spark, d).join(e.select("obj_id", "x"), "obj_id").join(e.select(F.col("obj_id").alias("nbr_id"), F.col("x").alias("y")), "nbr_id")
-    return near.groupBy("obj_id").agg(F.round(F.sum(F.exp(-features.dist(F.col("x"), F.col("y")))), 6).alias("density"))
+    return _fknn(spark, d, _near(spark, d))
+
+
+@query(_KNN_ALL.replace("la, b.label lb,", "la, b.label lb, list_sum(list_transform(list_zip(a.x, b.x), lambda z: (z[1]-z[2])*(z[1]-z[2]))) d2,") + " select i as obj_id, round(sum(exp(-sqrt(d2))), 6) as density from n group by 1")
+def fknn_density_all(spark, d):
+    return _fknn(spark, d, _near(spark, d, whole=True))
 
 
 @query("with e as (select event_id i, value a, hour(ts)::double b from events), c as (select i m, a, b from e where i < 6), w as (select e.i, arg_min(m, ((e.a-c.a)*(e.a-c.a)+(e.b-c.b)*(e.b-c.b), m)) m from e, c group by 1), s as (select m, sum(a) sa, sum(b) sb, count(*) n from e join w using (i) group by 1), h as (select c.m as neuron, s.*, exp(-(pow(c.m // 3 - s.m // 3, 2) + pow(c.m % 3 - s.m % 3, 2)) / 2.0) h from c, s) select neuron, round(sum(h * sa) / sum(h * n), 6) as w0, round(sum(h * sb) / sum(h * n), 6) as w1 from h group by 1")

@@ -109,13 +109,21 @@ def pivot_status(spark, d):
     return p.select("l_returnflag", F.coalesce("F", F.lit(0)).alias("f"), F.coalesce("O", F.lit(0)).alias("o"))
 
 
-@query("select o_orderkey, row_number() over w as rn, rank() over w as rk, dense_rank() over w as dr, ntile(4) over w as nt from (select * from orders where o_orderkey < 2000) window w as (partition by o_custkey order by o_totalprice, o_orderkey)")
-def win_ranking(spark, d):
+def _ranked(o):
     w = Window.partitionBy("o_custkey").orderBy("o_totalprice", "o_orderkey")
-    o = _table(spark, d, "orders").where("o_orderkey < 2000")
     return o.select("o_orderkey", *[f().over(w).cast("long").alias(n) for f, n in ((F.row_number, "rn"), (F.rank, "rk"), (F.dense_rank, "dr"))], F.ntile(4).over(w).cast("long").alias("nt"))
 
 
+@query("select o_orderkey, row_number() over w as rn, rank() over w as rk, dense_rank() over w as dr, ntile(4) over w as nt from (select * from orders where o_orderkey < 2000) window w as (partition by o_custkey order by o_totalprice, o_orderkey)")
+def win_ranking(spark, d):
+    return _ranked(_table(spark, d, "orders").where("o_orderkey < 2000"))
+
+
+@query("select o_orderkey, row_number() over w as rn, rank() over w as rk, dense_rank() over w as dr, ntile(4) over w as nt from orders window w as (partition by o_custkey order by o_totalprice, o_orderkey)")
+def win_ranking_all(spark, d):
+    return _ranked(_table(spark, d, "orders"))
+
+
 @query("select event_id, round(avg(value) over (partition by user_id order by event_id rows between 4 preceding and current row), 6) as moving, lag(event_id) over (partition by user_id order by event_id) as before, max(value) over (partition by user_id order by event_id rows unbounded preceding) as top from events")
 def win_frames(spark, d):
     w = Window.partitionBy("user_id").orderBy("event_id")
