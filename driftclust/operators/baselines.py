@@ -166,8 +166,7 @@ def _merged_prototypes(x, w, p: Params):
     """Merge prototypes' cells over all pairs; k by gap and separability."""
     cell, _ = growing_map.nearest(x, w)
     cells = merging.cell_stats(x, cell, len(w))
-    near = merging.neighbours(x, p.s) if len(x) <= p.exact_limit else None
-    cross = merging.cross_counts(near, cell, len(w)) if near is not None else merging.neuron_cross(w, p.s)
+    cross = merging.cross_counts(merging.neighbours(x, p.s), cell, len(w))
     t = merging.run(cells, np.zeros(len(w), np.int64), [], cross, p.s, Params(schedule="all_pairs", s=p.s))
     return t.groups(merging.best_k(np.array(t.k), np.array(t.log_theta), np.array(t.omega)))[cell]
 

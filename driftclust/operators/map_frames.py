@@ -13,7 +13,7 @@ import pandas as pd
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from . import growing_map
+from . import growing_map, merging
 from .features import dist, sq_dist
 
 #: Neurons beyond which winners are searched block by block.
@@ -107,6 +107,35 @@ def knn(points: DataFrame, s: int, blocks: int = 8) -> DataFrame:
     return local.withColumn("rank", F.row_number().over(Window.partitionBy("i").orderBy("c"))).where(F.col("rank") <= s).select(F.col("i").alias("obj_id"), F.col("c.j").alias("nbr_id"), "rank")
 
 
+def knn_blocks(points: DataFrame, s: int, blocks: int = 8) -> DataFrame:
+    """The same as ``knn`` with pairs compared in NumPy: a task holds two of the
+    blocks, and s candidates for each row leave it."""
+    block = F.pmod(F.xxhash64("obj_id"), F.lit(blocks)).cast("int")
+    every = F.explode(F.sequence(F.lit(0), F.lit(blocks - 1)))
+    a = points.select("obj_id", "x", block.alias("p")).withColumn("q", every)
+    b = points.select(F.col("obj_id").alias("nbr_id"), F.col("x").alias("y"), block.alias("q2")).withColumn("p2", every)
+
+    def nearest_of(left: pd.DataFrame, right: pd.DataFrame) -> pd.DataFrame:
+        out = []
+        if len(left) and len(right):
+            right = right.sort_values("nbr_id")
+            i, j = left["obj_id"].to_numpy(), right["nbr_id"].to_numpy()
+            x, y = np.array(left["x"].to_list(), float), np.array(right["y"].to_list(), float)
+            step = max(1, 2_000_000 // len(j))
+            for lo in range(0, len(i), step):
+                d = np.zeros((len(i[lo : lo + step]), len(j)))
+                for c in range(x.shape[1]):
+                    d += (x[lo : lo + step, c][:, None] - y[:, c][None, :]) ** 2
+                d[i[lo : lo + step][:, None] == j[None, :]] = np.inf
+                r, c = merging.least(d, min(s, len(j)))
+                keep = np.isfinite(d[r, c])
+                out.append(pd.DataFrame({"obj_id": i[lo : lo + step][r[keep]], "nbr_id": j[c[keep]], "d2": d[r[keep], c[keep]]}))
+        return pd.concat(out) if out else pd.DataFrame({"obj_id": [], "nbr_id": [], "d2": []})
+
+    near = a.groupBy("p", "q").cogroup(b.groupBy("p2", "q2")).applyInPandas(nearest_of, "obj_id long, nbr_id long, d2 double")
+    return near.withColumn("rank", F.row_number().over(Window.partitionBy("obj_id").orderBy("d2", "nbr_id"))).where(F.col("rank") <= s).select("obj_id", "nbr_id", "rank")
+
+
 def cross_counts(near: DataFrame, cells: DataFrame) -> DataFrame:
     """cell_a, cell_b, c: neighbours from one cell to another."""
     a = cells.select(F.col("obj_id"), F.col("cell").alias("cell_a"))

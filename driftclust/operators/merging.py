@@ -75,22 +75,68 @@ def project(x: np.ndarray, a: np.ndarray, b: np.ndarray) -> np.ndarray:
     return (x - (a + b) / 2) @ w / (w @ w)
 
 
-def neighbours(x: np.ndarray, s: int, block: int = 1024) -> np.ndarray:
-    """(n, s) nearest others of each row, ties to the lower index."""
+def neighbours(x: np.ndarray, s: int, block: int = 256) -> np.ndarray:
+    """(n, s) nearest others of each row, exact at every size, in the order of
+    their indices; ties to the lower index.
+
+    Rows are taken in blocks along their widest axis. A block looks at a stretch
+    of that axis and widens it until all that lies outside is further away on
+    this axis alone than the s-th neighbour found.
+    """
     n = len(x)
     s = min(s, n - 1)
     out = np.zeros((n, max(s, 0)), np.int64)
-    xx = (x * x).sum(axis=1)
-    for lo in range(0, n, block):
-        part = x[lo : lo + block]
-        d = xx[None, :] - 2 * part @ x.T + xx[lo : lo + block, None]
-        d[np.arange(len(part)), np.arange(lo, lo + len(part))] = np.inf
-        if s:
-            got = np.argpartition(d, s - 1, axis=1)[:, :s]
-            out[lo : lo + block] = got
+    if s < 1:
+        return out
+    axis = int(np.ptp(x, axis=0).argmax())
+    order = np.argsort(x[:, axis], kind="stable")
+    along = x[order, axis]
+    for at in range(0, n, block):
+        rows, reach = order[at : at + block], block + s
+        while True:
+            lo, hi = max(at - reach, 0), min(at + block + reach, n)
+            # Whole runs of equal places, so that ties are seen on both sides.
+            lo, hi = int(np.searchsorted(along, along[lo])), int(np.searchsorted(along, along[hi - 1], side="right"))
+            seen = np.sort(order[lo:hi])
+            got, far = _nearest_of(x, rows, seen, s)
+            own = along[at : at + block]
+            left = own - along[lo - 1] if lo else np.inf
+            right = along[hi] - own if hi < n else np.inf
+            # Rounding of the sums must not hide a tie at the edge.
+            if (np.minimum(left, right) > far * (1 + 1e-9)).all():
+                break
+            reach *= 4
+        out[rows] = got
     return out
 
 
+def _nearest_of(x: np.ndarray, rows: np.ndarray, seen: np.ndarray, s: int) -> tuple[np.ndarray, np.ndarray]:
+    """Indices of the s nearest of ``seen`` (ascending) to each row, itself left
+    out, and the distance of the last."""
+    got, far = np.zeros((len(rows), s), np.int64), np.zeros(len(rows))
+    step = max(1, 4_000_000 // len(seen))
+    for lo in range(0, len(rows), step):
+        mine = rows[lo : lo + step]
+        d = np.zeros((len(mine), len(seen)))
+        for c in range(x.shape[1]):
+            d += (x[mine, c][:, None] - x[seen, c][None, :]) ** 2
+        d[np.arange(len(mine)), np.searchsorted(seen, mine)] = np.inf
+        r, c = least(d, s)
+        got[lo : lo + step] = seen[c].reshape(len(mine), s)
+        far[lo : lo + step] = np.sqrt(d[r, c].reshape(len(mine), s).max(axis=1))
+    return got, far
+
+
+def least(d: np.ndarray, s: int) -> tuple[np.ndarray, np.ndarray]:
+    """Row and column of the s least of each row, ties to the lower column."""
+    last = np.partition(d, s - 1, axis=1)[:, s - 1 : s]
+    pick = d <= last
+    for r in np.flatnonzero(pick.sum(axis=1) > s).tolist():
+        ties = np.flatnonzero(d[r] == last[r])
+        pick[r, ties[s - int((d[r] < last[r]).sum()) :]] = False
+    return np.nonzero(pick)
+
+
 def cross_counts(near: np.ndarray, cell: np.ndarray, q: int) -> np.ndarray:
     """(q, q): how often an object of one cell has a neighbour in another."""
     out = np.zeros((q, q))

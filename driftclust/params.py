@@ -25,7 +25,6 @@ class Params:
     max_neurons: int = 4096
     schedule: str = "guided"  # guided, two_stage, adjacent, all_pairs, none
     separability: str = "object"  # object, neuron
-    exact_limit: int = 6000  # rows of a chunk up to which neighbours are exact
     var_floor: float = 1e-6
     min_k: int = 2
     #: Subnets should outnumber the clusters, so no more than this are looked for.

@@ -42,7 +42,7 @@ def fit_chunk(x: np.ndarray, p: Params, state: GrowingMap | None = None) -> Fitt
     m = growing_map.fit(x, p, state)
     cell, _ = growing_map.nearest(x, m.w)
     cells = merging.cell_stats(x, cell, m.q)
-    if p.separability == "object" and len(x) <= p.exact_limit:
+    if p.separability == "object":
         near = merging.neighbours(x, p.s)
         cross, s = merging.cross_counts(near, cell, m.q), max(near.shape[1], 1)
     else:
@@ -148,8 +148,8 @@ def predict(points: DataFrame, model: DataFrame) -> DataFrame:
 
 def cluster_sharded(points: DataFrame, p: Params = Params(), shards: int = 8) -> DataFrame:
     """One data set of any size. Shards are trained apart, their maps united and
-    written to neurons; winners and the cells' sums are one pass each; merging
-    sees cells only, with neurons as objects for separability."""
+    written to neurons; winners and the cells' sums are one pass each, the
+    objects' neighbours are found block by block; merging sees cells only."""
     rows = points.select("obj_id", "x").withColumn("shard", F.pmod(F.xxhash64("obj_id"), F.lit(shards)).cast("int"))
     d = len(rows.first()["x"])
 
@@ -177,7 +177,14 @@ def cluster_sharded(points: DataFrame, p: Params = Params(), shards: int = 8) ->
         full = np.zeros((d, d))
         full[upper] = r.s2
         cells.s2[r.neuron] = full + full.T - np.diag(np.diag(full))
-    f = choose(m, np.zeros(0, np.int64), cells, merging.neuron_cross(m.w, p.s), min(p.s, m.q - 1), p)
+    if p.separability == "object":
+        s, cross = p.s, np.zeros((m.q, m.q))
+        near = map_frames.knn_blocks(points, s, shards)
+        for r in map_frames.cross_counts(near, won.select("obj_id", F.col("neuron").alias("cell"))).collect():
+            cross[r.cell_a, r.cell_b] = r.c
+    else:
+        cross, s = merging.neuron_cross(m.w, p.s), min(p.s, m.q - 1)
+    f = choose(m, np.zeros(0, np.int64), cells, cross, s, p)
     to = points.sparkSession.createDataFrame([(i, int(g)) for i, g in enumerate(f.groups)], "neuron long, cluster int")
     return won.join(F.broadcast(to), "neuron").select("obj_id", "cluster")
 
