@@ -320,7 +320,7 @@ def scores(k: np.ndarray, log_theta: np.ndarray, omega: np.ndarray, min_k: int =
     return k[ok], value[ok] + (omega[ok] / worst if worst > 0 else 0.0)
 
 
-def best_k(k: np.ndarray, log_theta: np.ndarray, omega: np.ndarray, rule: str = "argmin", min_k: int = 2, theta: str = "formed", max_k: int = 15) -> int:
+def best_k(k: np.ndarray, log_theta: np.ndarray, omega: np.ndarray, rule: str = "argmin", min_k: int = 2, theta: str = "formed", max_k: int = 0) -> int:
     """The k of the least score, or the score curve's knee; ties to smaller k."""
     kk, score = scores(np.asarray(k), np.asarray(log_theta, float), np.asarray(omega, float), min_k, theta)
     if not len(kk):

@@ -27,8 +27,7 @@ class Params:
     separability: str = "object"  # object, neuron
     var_floor: float = 1e-6
     min_k: int = 2
-    #: Subnets should outnumber the clusters, so no more than this are looked for.
-    max_k: int = 15
+    max_k: int = 0  # 0: every k of the trace; else no more than this are looked for
     rule: str = "argmin"  # argmin, knee
     #: Which gap counts for k clusters: the largest on the way to them (formed),
     #: or that of the next merge, the literal minimum over their pairs (next).

@@ -58,3 +58,17 @@ def test_sharded_fit_counts_the_objects_neighbours(spark, monkeypatch):
 
     monkeypatch.setattr(merging, "neuron_cross", refuse)
     assert pipeline.cluster_sharded(df, shards=2).count() == len(x)
+
+
+def test_k_is_chosen_over_the_whole_trace():
+    """28 far clusters; with a cap at 15 at least two would share a label."""
+    rng = np.random.default_rng(3)
+    centres = np.array([(i, j) for i in range(7) for j in range(4)], float)
+    y = np.repeat(np.arange(28), 100)
+    x = centres[y] + rng.normal(0, 0.03, (2800, 2))
+    cells = merging.cell_stats(x, y, 28)
+    cross = merging.cross_counts(merging.neighbours(x, 10), y, 28)
+    t = merging.run(cells, np.zeros(28, int), [], cross, 10, Params(schedule="all_pairs"))
+    k, theta, omega = np.array(t.k), np.array(t.log_theta), np.array(t.omega)
+    assert merging.best_k(k, theta, omega) == 28 and merging.best_k(k, theta, omega, max_k=15) <= 15
+    assert Params().max_k == 0
