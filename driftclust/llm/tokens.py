@@ -4,8 +4,9 @@ The library's merges never cross the pieces that its pre-tokenizer cuts, so a
 text's ids are those of its pieces in order. Pieces are found for a block of
 texts at once by character class, each distinct piece is encoded by the library
 the first time a worker meets it, and all later places take the ids from a table
-of bounded size. Texts with characters that Unicode versions class differently
-are handed to the library whole.
+of bounded size. Texts with characters that Unicode versions class differently,
+and those that contain a token added to the vocabulary, are handed to the library
+whole.
 """
 
 from __future__ import annotations
@@ -115,7 +116,7 @@ class Encoder:
         from tokenizers import Tokenizer
 
         self.tokenizer = Tokenizer.from_file(path)
-        self.tokenizer.encode_special_tokens = True
+        self.added = [t.content.encode() for t in self.tokenizer.get_added_tokens_decoder().values()]
         self.names = byte_names()
         self.forget()
 
@@ -177,16 +178,17 @@ class Encoder:
         ids, n = self._pieces(data, starts, np.append(starts[1:], len(data)))
         total = np.concatenate([[0], np.cumsum(n)])
         edge = total[np.searchsorted(starts, offsets)]
-        if not len(odd):
+        special = rows_with(raw, offsets, self.added)
+        if not len(odd) and not len(special):
             return ids, np.diff(edge)
-        whole = set((np.searchsorted(rows, odd, side="right") - 1).tolist())
+        whole = set((np.searchsorted(rows, odd, side="right") - 1).tolist()) | set(special.tolist())
         parts = [np.array(self.tokenizer.encode(raw[offsets[r] : offsets[r + 1]].decode(), add_special_tokens=False).ids, np.int32) if r in whole else ids[edge[r] : edge[r + 1]] for r in range(len(offsets) - 1)]
         return np.concatenate(parts), np.array([len(p) for p in parts])
 
     def encode(self, column) -> tuple[np.ndarray, np.ndarray]:
         """Flat ids of a text column, and row offsets into them; null is empty."""
         data, offsets = kernels.utf8(column)
-        cut, owner = safe_cuts(data, offsets)
+        cut, owner = safe_cuts(data, offsets, added=self.added)
         flat, count = [np.zeros(0, np.int32)], np.zeros(len(offsets) - 1, np.int64)
         for lo, hi in kernels.blocks(cut, 2 * kernels.BLOCK):
             ids, n = self._block(data[cut[lo] : cut[hi]], cut[lo : hi + 1] - cut[lo])
@@ -195,12 +197,27 @@ class Encoder:
         return np.concatenate(flat), np.concatenate([[0], np.cumsum(count)])
 
 
-def safe_cuts(data: np.ndarray, offsets: np.ndarray, limit: int = 8 * kernels.BLOCK) -> tuple[np.ndarray, np.ndarray]:
+def rows_with(raw: bytes, offsets: np.ndarray, words: list[bytes]) -> np.ndarray:
+    """Rows that contain one of the words."""
+    hit = set()
+    for w in words:
+        at = raw.find(w)
+        while at >= 0:
+            r = int(np.searchsorted(offsets, at, side="right")) - 1
+            if at + len(w) <= offsets[r + 1]:
+                hit.add(r)
+                at = raw.find(w, int(offsets[r + 1]))
+            else:
+                at = raw.find(w, at + 1)
+    return np.array(sorted(hit), np.int64)
+
+
+def safe_cuts(data: np.ndarray, offsets: np.ndarray, limit: int = 8 * kernels.BLOCK, added: list[bytes] | None = None) -> tuple[np.ndarray, np.ndarray]:
     """Row offsets with long rows split, and the row of each part.
 
     A split is put before a blank that follows an ASCII letter: a piece always
     begins there, whatever stands on either side. Rows with unsure characters
-    stay whole.
+    or an added token stay whole.
     """
     sizes = np.diff(offsets)
     if not len(sizes) or sizes.max() <= limit:
@@ -210,7 +227,7 @@ def safe_cuts(data: np.ndarray, offsets: np.ndarray, limit: int = 8 * kernels.BL
         lo, hi = int(offsets[r]), int(offsets[r + 1])
         if hi - lo > limit:
             part = data[lo:hi]
-            sure = not (char_classes()[np.frombuffer(part.tobytes().decode().encode("utf-32-le"), np.uint32)] == _UNSURE).any()
+            sure = not (char_classes()[np.frombuffer(part.tobytes().decode().encode("utf-32-le"), np.uint32)] == _UNSURE).any() and not any(w in part.tobytes() for w in added or ())
             letter = ((part[:-1] | 32) >= 97) & ((part[:-1] | 32) <= 122)
             places = np.flatnonzero(letter & (part[1:] == 32)) + 1 + lo if sure else np.zeros(0, np.int64)
             while hi - cut[-1] > limit and len(places):
