@@ -147,7 +147,9 @@ class GrowingMap:
                 self.merge_subnets(v, q, g)
                 return "join"
             return "none"
-        if p.grow and q is not None and self.q < p.max_neurons:
+        if p.grow and q is not None:
+            if self.q >= p.max_neurons:
+                raise ValueError(f"the map needs more than max_neurons = {p.max_neurons} neurons: raise it, or cluster in shards")
             self.split(v, q, p.keep_split_edge)
             return "split"
         return "none"
@@ -226,7 +228,7 @@ def fit(x: np.ndarray, p: Params, state: GrowingMap | None = None, given: np.nda
         return state or GrowingMap.empty(x.shape[1])
     m = state
     if m is None or not m.q:
-        pool = x[order[:2000]]
+        pool = x[order]
         m = triangles(pool, np.arange(min(p.subnets, len(pool))) if given is not None else seeds(pool, p.subnets, p.seeding))
     m.hits[:] = 0
     for count, i in enumerate(order.tolist(), 1):

@@ -3,7 +3,7 @@
 import numpy as np
 import pytest
 
-from driftclust.operators import baselines, map_frames, merging
+from driftclust.operators import baselines, growing_map, map_frames, merging
 from driftclust.params import Params
 from driftclust.plans import pipeline
 
@@ -72,3 +72,19 @@ def test_k_is_chosen_over_the_whole_trace():
     k, theta, omega = np.array(t.k), np.array(t.log_theta), np.array(t.omega)
     assert merging.best_k(k, theta, omega) == 28 and merging.best_k(k, theta, omega, max_k=15) <= 15
     assert Params().max_k == 0
+
+
+def test_initial_subnets_see_every_row():
+    """Five far rows that the seeded order puts behind the first 2000."""
+    x = np.random.default_rng(6).random((5000, 2))
+    late = np.random.default_rng(1).permutation(5000)[-5:]
+    x[late] += 50
+    for how in ("poisson", "farthest"):
+        m = growing_map.fit(x, Params(seeding=how, grow=False, join=False, lr_win=1e-9, lr_nbr=0))
+        assert (m.w.max(axis=1) > 49).any()
+
+
+def test_growth_beyond_max_neurons_is_refused():
+    x = np.random.default_rng(6).random((5000, 2))
+    with pytest.raises(ValueError, match="max_neurons"):
+        growing_map.fit(x, Params(max_neurons=46))
