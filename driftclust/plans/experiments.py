@@ -89,14 +89,14 @@ def parameter_grid(spark: SparkSession, sf_dir: str, name: str = "ga") -> DataFr
     return _all([measured(pts, pipeline.cluster_chunks(pts, replace(Params(), **{k: v})), name, f"{k}={v}") for k, v in grid])
 
 
-def efficiency(spark: SparkSession, sf_dir: str, methods: tuple[str, ...] = ("growing_map", "kmeans", "birch", "coreset_kmeans"), sizes: tuple[int, ...] = (500, 1000, 2000, 4000)) -> list[tuple[str, int, float]]:
-    """(method, n, seconds) on growing parts of one set."""
+def efficiency(spark: SparkSession, sf_dir: str, methods: tuple[str, ...] | None = None, parts: int = 5) -> list[tuple[str, int, float]]:
+    """(method, n, seconds) on growing parts of one set, the last all of it."""
     pts = tables.points(spark, sf_dir, "lm").cache()
     out = []
-    for n in sizes:
-        part = pts.where(F.col("obj_id") < n).cache()
-        part.count()
-        for m in methods:
+    for share in range(1, parts + 1):
+        part = pts.where(F.pmod(F.xxhash64("obj_id"), F.lit(parts)) < share).cache()
+        n = part.count()
+        for m in methods or named_methods():
             t = time.time()
             run_method(part, m, 5).agg(F.count_distinct("cluster")).collect()
             out.append((m, n, time.time() - t))

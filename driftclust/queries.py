@@ -658,12 +658,23 @@ for _v in experiments.ABLATIONS:
 
 @query()
 def workload_accuracy(spark, d):
-    return metrics.summary(experiments.accuracy(spark, d, ["ga", "hs"], ["growing_map", "birch", "coreset_kmeans", "local_peaks"], chunks=3))
+    """All sets, all named methods, ten chunks each."""
+    return metrics.summary(experiments.accuracy(spark, d, list(tables.SETS)))
 
 
 @query()
 def workload_ranks(spark, d):
-    return metrics.rank_table(experiments.accuracy(spark, d, ["ga", "wc"], ["growing_map", "birch", "coreset_kmeans"], chunks=2))
+    return metrics.rank_table(experiments.accuracy(spark, d, list(tables.SETS)))
+
+
+@query()
+def workload_ablation(spark, d):
+    return experiments.ablation(spark, d, list(tables.SETS))
+
+
+@query()
+def workload_efficiency(spark, d):
+    return spark.createDataFrame(experiments.efficiency(spark, d), "method string, n long, seconds double")
 
 
 @query()

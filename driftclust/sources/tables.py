@@ -63,12 +63,12 @@ def points(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
         df = t("events").select(F.col("event_id").alias("obj_id"), F.array(F.col("value"), F.hour("ts").cast("double"), F.get_json_object("props", "$.k").cast("double")).alias("x"), _code("event_type").alias("label"))
     elif name in ("ra", "se"):
         cols = ["l_quantity", "l_extendedprice", "l_discount", "l_tax", "l_linenumber", "l_suppkey"]
-        rows = t("lineitem").orderBy(*t("lineitem").columns).limit(900 if name == "ra" else 210)
+        rows = t("lineitem")
         df = rows.select(F.xxhash64(*rows.columns).alias("obj_id"), F.array(*[F.col(c).cast("double") for c in cols], F.datediff("l_shipdate", F.lit("1995-01-01")).cast("double")).alias("x"), _code("l_linestatus" if name == "ra" else "l_returnflag").alias("label"))
     elif name == "ab":
         rows = t("lineitem").join(t("orders"), F.col("l_orderkey") == F.col("o_orderkey")).join(t("part"), F.col("l_partkey") == F.col("p_partkey"))
         lag = F.datediff("l_shipdate", "o_orderdate")
-        rows = rows.withColumn("obj_id", F.xxhash64(*t("lineitem").columns)).orderBy("obj_id").limit(4177)
+        rows = rows.withColumn("obj_id", F.xxhash64(*t("lineitem").columns))
         df = rows.select("obj_id", F.array(*[F.col(c).cast("double") for c in ("l_quantity", "l_extendedprice", "l_discount", "l_tax", "o_totalprice", "p_size", "p_retailprice")], lag.cast("double")).alias("x"), _code("l_linenumber", "l_returnflag", "l_linestatus").alias("label"))
     elif name == "pb":
         o = t("orders").groupBy("o_custkey").agg(F.count("*").alias("n"), *[getattr(F, f)("o_totalprice").alias(f) for f in ("sum", "avg", "min", "max")], F.coalesce(F.stddev("o_totalprice"), F.lit(0.0)).alias("dev"), F.datediff(F.min("o_orderdate"), F.lit("1995-01-01")).alias("first"), F.datediff(F.max("o_orderdate"), F.lit("1995-01-01")).alias("last"), F.count_distinct("o_orderpriority").alias("kinds"))
