@@ -1,9 +1,11 @@
 """The whole method over DataFrames: one data set, chunks, or a model for scoring.
 
 Chunks are shuffled by chunk_id and each is clustered in one task, as training is
-sequential. A chunk beyond ``max_rows_per_task`` is cut into shards that are
-trained apart; their maps are united (the map is a union of independent subnets
-by definition), and one further pass adds up the cells' statistics.
+sequential, whatever its size: nothing here cuts it. ``cluster_sharded``, which
+the caller has to choose, cuts a set into shards that are trained apart; their
+maps are united (the map is a union of independent subnets by definition), and
+further passes add up the cells' statistics. ``max_rows_per_task`` is a limit of
+the streaming path, which refuses a larger chunk.
 """
 
 from __future__ import annotations
