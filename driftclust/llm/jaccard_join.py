@@ -7,21 +7,22 @@ n - ceil(t n) + l, for every l; with two lengths the smaller l counts. Each
 class picks the l that makes its estimated cost least: longer prefixes cost more
 rows, and demand more shared shingles before a pair is verified.
 
-Candidates share prefix shingles. Within a shingle's classes no pairs are
-written out until they have to be: first each class is verified against its best
-predecessor in size order, a linear number of pairs that ties large groups of
-near copies together. Then only pairs of classes in different components are
-still open: shingles whose classes are all connected are done, and for the
-others exactly the pairs across components that share enough prefix shingles are
-verified. The components are those of all links, and no link between two
-components is ever missed.
-
-Frequencies come from a sketch of bounded size over all texts; it only orders,
-so collisions in it cost time, never links. Null or empty texts have no shingles
-and link with nothing; a text with fewer words than the width is one shingle.
-Rows with a repeated doc_id are documents of their own that share the id; extra
-columns are ignored (or pass through ``keep_one``); an empty table gives an
-empty result.
+A prefix shingle that at most ``CROWD`` classes share gives its pairs, a bounded
+number for each of its rows; pairs that come up often enough are verified. Pairs
+that share a more frequent shingle are never written out: classes meet in blocks
+of about ``BLOCK_CLASSES``, each class with the classes of its most frequent
+shingle, and a worker compares the classes of one block, or of two blocks that
+share a frequent shingle, and returns only links that tie components together.
+Blocks are compared with themselves first; two blocks whose classes are all in
+one component by then are not compared. Shingles that the frequency sketch
+already knows to be frequent are never gathered by shingle at all.
+
+Frequencies come from a sketch of bounded size over all texts; it only orders
+and routes, so collisions in it cost time, never links. Null or empty texts have
+no shingles and link with nothing; a text with fewer words than the width is one
+shingle. Rows with a repeated doc_id are documents of their own that share the
+id; extra columns are ignored (or pass through ``keep_one``); an empty table
+gives an empty result.
 """
 
 from __future__ import annotations
@@ -30,7 +31,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from . import bloom, kernels
@@ -40,6 +41,16 @@ from .scratch import materialise, prepare, release
 SKETCH_BITS = 22
 _PART = 1 << 16
 MAX_MATCHES = 8
+#: Classes of a shingle up to which its pairs are written out.
+CROWD = 16
+#: Frequency class (see ``frequency_classes``) of 255 or more, from which a
+#: shingle's rows are not gathered.
+KNOWN_CROWD = 16
+#: Classes and shingles of a block, on average.
+BLOCK_CLASSES = 256
+BLOCK_SHINGLES = 1 << 19
+#: Matches that a worker lays out at once.
+MATCHES = 1 << 21
 
 
 def frequency_classes(docs: DataFrame, width: int) -> np.ndarray:
@@ -102,36 +113,36 @@ def least_overlap(n: int, percent: int) -> int:
 
 
 def prefix(s: np.ndarray, classes: np.ndarray, percent: int) -> tuple[int, np.ndarray, int]:
-    """(l, prefix, place of its last shingle in the order of all), by estimated cost."""
+    """(l, prefix, how many of it aren't known to be frequent), by estimated cost."""
     n = len(s)
     kind = classes[(s >> np.uint64(64 - SKETCH_BITS)).astype(np.int64)]
     order = np.argsort(kind, kind="stable")
     need = least_overlap(n, percent)
     most = min(MAX_MATCHES, need)
-    others = np.cumsum(np.exp2(kind[order[: n - need + most]] / 2.0) - 1)
+    ahead = kind[order[: n - need + most]]
+    others = np.cumsum(np.exp2(ahead / 2.0) - 1)
     l = np.arange(1, most + 1)  # noqa: E741
     length = n - need + l
     cost = length + others[length - 1] * (1 + n / (8 * l))
     best = int(np.argmin(cost))
-    end = order[length[best] - 1]
-    return best + 1, s[order[: length[best]]], (int(kind[end]) << 56) | int(s[end] >> np.uint64(8))
+    return best + 1, s[order[: length[best]]], int(np.searchsorted(ahead[: length[best]], KNOWN_CROWD))
 
 
 def signatures(docs: DataFrame, classes: np.ndarray, width: int, percent: int) -> DataFrame:
-    """doc_id, cid, n, l, last, prefix (binary hashes) of each document."""
+    """doc_id, cid, n, l, rare, prefix (binary hashes) of each document."""
     shared = docs.sparkSession.sparkContext.broadcast(classes)
 
     def sign(batches):
         for batch in batches:
             rows = []
             for _, s in kernels.text_shingles(batch.column("text"), width):
-                l, p, last = prefix(s, shared.value, percent) if len(s) else (0, s, 0)  # noqa: E741
-                rows.append((class_id(s) if len(s) else 0, len(s), l, last, p.tobytes()))
+                l, p, rare = prefix(s, shared.value, percent) if len(s) else (0, s, 0)  # noqa: E741
+                rows.append((class_id(s) if len(s) else 0, len(s), l, rare, p.tobytes()))
             if rows:
-                cols = [pa.array(c, t) for c, t in zip(zip(*rows, strict=True), (pa.int64(), pa.int64(), pa.int32(), pa.int64(), pa.binary()), strict=True)]
-                yield pa.RecordBatch.from_arrays([batch.column("doc_id"), *cols], ["doc_id", "cid", "n", "l", "last", "prefix"])
+                cols = [pa.array(c, t) for c, t in zip(zip(*rows, strict=True), (pa.int64(), pa.int64(), pa.int32(), pa.int32(), pa.binary()), strict=True)]
+                yield pa.RecordBatch.from_arrays([batch.column("doc_id"), *cols], ["doc_id", "cid", "n", "l", "rare", "prefix"])
 
-    return docs.select("doc_id", "text").mapInArrow(sign, "doc_id long, cid long, n long, l int, last long, prefix binary")
+    return docs.select("doc_id", "text").mapInArrow(sign, "doc_id long, cid long, n long, l int, rare int, prefix binary")
 
 
 def _one_each(signed: DataFrame) -> DataFrame:
@@ -152,40 +163,116 @@ def _one_each(signed: DataFrame) -> DataFrame:
 
 
 def _tokens(signed: DataFrame) -> DataFrame:
-    """(token, cid, n, l, last, pos): a row for each prefix shingle, pos from 1."""
+    """(token, cid, known, what): a row for each prefix shingle.
+
+    ``what`` holds n, l and the place in the prefix from 1, in 32, 4 and 28 bits;
+    ``known`` says whether the sketch knows the shingle to be frequent.
+    """
 
     def spread(batches):
         for batch in batches:
-            parts = [np.frombuffer(p, np.int64) for p in batch.column("prefix").to_pylist()]
-            k = np.array([len(p) for p in parts])
-            for lo in range(0, len(parts), 512):
-                at = np.repeat(np.arange(lo, min(lo + 512, len(parts))), k[lo : lo + 512])
-                take = pa.array(at)
-                yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(parts[lo : lo + 512]), pa.int64()), batch.column("cid").take(take), batch.column("n").take(take), batch.column("l").take(take), batch.column("last").take(take), pa.array(np.concatenate([np.arange(1, m + 1, dtype=np.int32) for m in k[lo : lo + 512]]))], ["token", "cid", "n", "l", "last", "pos"])
-
-    return signed.select("cid", "n", "l", "last", "prefix").mapInArrow(spread, "token long, cid long, n long, l int, last long, pos int")
-
-
-def verified(docs: DataFrame, reps: DataFrame, pairs: DataFrame, width: int, percent: int) -> DataFrame:
-    """The pairs (a, b) of class ids whose sets reach the similarity.
+            raw = batch.column("prefix").to_pylist()
+            cid, n, l, rare = (batch.column(c).to_numpy(zero_copy_only=False) for c in ("cid", "n", "l", "rare"))
+            k = np.array([len(p) // 8 for p in raw])
+            lo = 0
+            while lo < len(raw):
+                hi = max(lo + 1, int(np.searchsorted(np.cumsum(k[lo:]), 1 << 16, side="right")) + lo)
+                at = np.repeat(np.arange(lo, hi), k[lo:hi])
+                pos = kernels.segments(np.ones(hi - lo, np.int64), k[lo:hi])
+                what = (n[at] << 32) | (l[at].astype(np.int64) << 28) | pos
+                yield pa.RecordBatch.from_arrays([pa.array(np.frombuffer(b"".join(raw[lo:hi]), np.int64)), pa.array(cid[at]), pa.array(pos > rare[at]), pa.array(what)], ["token", "cid", "known", "what"])
+                lo = hi
+
+    return signed.select("cid", "n", "l", "rare", "prefix").mapInArrow(spread, "token long, cid long, known boolean, what long")
+
+
+def _bounds(np_, nq, lp, lq, percent: int):
+    """(must share, least matches): what a pair of sizes has to share, and how
+    many shingles of how long prefixes that makes; both own prefixes are long
+    enough for these."""
+    alpha = ((np_ + nq) * percent + 99 + percent) // (100 + percent)
+    need = lambda n: (n * percent + 99) // 100
+    return alpha, np.minimum(lp + (alpha - need(np_)) // 2, lq + (alpha - need(nq)) // 2)
+
+
+def _shared(rows: DataFrame, percent: int) -> DataFrame:
+    """(token, a, b, what): pairs a < b with the least matches in ``what`` and no
+    token, for each shingle that few share; (token, class, null, what) for each
+    class of the others."""
+
+    def gather(batches):
+        held, size, crowd = [], 0, None
+        for batch in batches:
+            held.append([batch.column(c).to_numpy(zero_copy_only=False) for c in ("token", "cid", "what")])
+            size += batch.num_rows
+            if size < 1 << 16:
+                continue
+            token, cid, what = (np.concatenate(c) for c in zip(*held, strict=True))
+            cut = int(np.searchsorted(token, token[-1]))
+            yield from told(token[:cut], cid[:cut], what[:cut], crowd)
+            if len(token) - cut > CROWD or token[-1] == crowd:
+                # Too many to be pairs: what is still to come is, too.
+                if cut:
+                    crowd = None
+                yield crowded(token[cut:], cid[cut:], what[cut:])
+                crowd, cut = token[-1], len(token)
+            held, size = [[token[cut:], cid[cut:], what[cut:]]], len(token) - cut
+        if held:
+            yield from told(*(np.concatenate(c) for c in zip(*held, strict=True)), crowd)
+
+    def crowded(token, cid, what):
+        return pa.RecordBatch.from_arrays([pa.array(token), pa.array(cid), pa.nulls(len(cid), pa.int64()), pa.array(what)], ["token", "a", "b", "what"])
+
+    def told(token, cid, what, crowd):
+        if not len(token):
+            return
+        first = np.flatnonzero(np.concatenate([[True], token[1:] != token[:-1]]))
+        count = np.diff(np.append(first, len(token)))
+        large = (count > CROWD) | (token[first] == crowd if crowd is not None else False)
+        if large.any():
+            at = kernels.segments(first[large], count[large])
+            yield crowded(token[at], cid[at], what[at])
+        for g in range(2, CROWD + 1):
+            these = first[(count == g) & ~large]
+            i, j = np.triu_indices(g, 1)
+            step = max(1, MATCHES // (8 * len(i)))
+            for lo in range(0, len(these), step):
+                p, q = ((these[lo : lo + step, None] + x).ravel() for x in (i, j))
+                (n_p, l_p, at_p), (n_q, l_q, at_q) = ((w >> 32, (w >> 28) & 15, w & ((1 << 28) - 1)) for w in (what[p], what[q]))
+                alpha, least = _bounds(n_p, n_q, l_p, l_q, percent)
+                fit = (n_p * 100 >= n_q * percent) & (n_q * 100 >= n_p * percent) & (at_p <= n_p - alpha + least) & (at_q <= n_q - alpha + least)
+                if fit.any():
+                    a, b = cid[p[fit]], cid[q[fit]]
+                    yield pa.RecordBatch.from_arrays([pa.nulls(len(a), pa.int64()), pa.array(np.minimum(a, b)), pa.array(np.maximum(a, b)), pa.array(least[fit])], ["token", "a", "b", "what"])
+
+    n = int(rows.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    return rows.where("not known").select("token", "cid", "what").repartition(n, "token").sortWithinPartitions("token").mapInArrow(gather, "token long, a long, b long, what long")
+
+
+def _sets(docs: DataFrame, reps: DataFrame, need: DataFrame, width: int) -> DataFrame:
+    """cid, s (binary hashes) of the classes in ``need``, and perhaps a few more.
 
     Sets are made again from the texts of the classes' first documents, which a
     filter of bounded size picks out of the scan.
     """
-    spark = docs.sparkSession
-    need = pairs.select(F.explode(F.array("a", "b")).alias("cid")).distinct()
     ids = materialise(need.join(reps, "cid").select(F.xxhash64("doc_id").alias("h")), "set-ids")
-    shared = spark.sparkContext.broadcast(bloom.build(ids, bloom.size_bits(ids.count(), max_bits=1 << 27)))
+    shared = docs.sparkSession.sparkContext.broadcast(bloom.build(ids, bloom.size_bits(ids.count(), max_bits=1 << 27)))
 
     def sets(batches):
         for batch in batches:
             keep = np.flatnonzero(bloom.contains(shared.value, batch.column("h").to_numpy(zero_copy_only=False).view(np.uint64)))
-            for lo in range(0, len(keep), 256):
-                found = [s for _, s in kernels.text_shingles(batch.column("text").take(pa.array(keep[lo : lo + 256])), width) if len(s)]
+            for lo in range(0, len(keep), 64):
+                found = [s for _, s in kernels.text_shingles(batch.column("text").take(pa.array(keep[lo : lo + 64])), width) if len(s)]
                 yield pa.RecordBatch.from_arrays([pa.array([class_id(s) for s in found], pa.int64()), kernels.binary_column(found)], ["cid", "s"])
 
-    made = docs.select(F.xxhash64("doc_id").alias("h"), "text").mapInArrow(sets, "cid long, s binary")
-    first, second = made.select(F.col("cid").alias("a"), F.col("s").alias("sa")), made.select(F.col("cid").alias("b"), F.col("s").alias("sb"))
+    made = materialise(docs.select(F.xxhash64("doc_id").alias("h"), "text").mapInArrow(sets, "cid long, s binary"), "sets")
+    release(ids)
+    return made
+
+
+def verified(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
+    """The pairs (a, b) of class ids whose sets reach the similarity."""
+    first, second = sets.select(F.col("cid").alias("a"), F.col("s").alias("sa")), sets.select(F.col("cid").alias("b"), F.col("s").alias("sb"))
 
     def similar(batches):
         for batch in batches:
@@ -197,71 +284,143 @@ def verified(docs: DataFrame, reps: DataFrame, pairs: DataFrame, width: int, per
                 ok.append(100 * shared_n >= percent * (len(both) - shared_n))
             yield pa.RecordBatch.from_arrays([batch.column("a").filter(pa.array(ok, pa.bool_())), batch.column("b").filter(pa.array(ok, pa.bool_()))], ["a", "b"])
 
-    return pairs.select("a", "b").join(first, "a").join(second, "b").select("a", "b", "sa", "sb").mapInArrow(similar, "a long, b long").distinct()
-
-
-def _may_link(m, percent: int):
-    """Whether sets p and q that share m prefix shingles can be similar enough.
-
-    Of two prefixes, the one whose last shingle comes first in the order of all
-    ends where everything shared so far is counted: beyond it only the rest of
-    its own set, ceil(t n) - l shingles, can still be shared.
-    """
-    need = lambda n: F.floor((n * percent + 99) / 100)
-    rest_p, rest_q = need(F.col("np")) - F.col("lp"), need(F.col("nq")) - F.col("lq")
-    rest = F.when(F.col("ep") < F.col("eq"), rest_p).when(F.col("ep") > F.col("eq"), rest_q).otherwise(F.least(rest_p, rest_q))
-    return (m >= F.least("lp", "lq")) & ((m + rest) * (100 + percent) >= (F.col("np") + F.col("nq")) * percent)
+    return pairs.select("a", "b").join(first, "a").join(second, "b").select("a", "b", "sa", "sb").mapInArrow(similar, "a long, b long")
+
+
+def _overlaps(left: list[np.ndarray], right: list[np.ndarray]) -> np.ndarray:
+    """How many elements each set of ``left`` shares with each of ``right``."""
+    out = np.zeros((len(left), len(right)), np.int64)
+    token = np.concatenate([np.zeros(0, np.uint64), *right])
+    owner = np.repeat(np.arange(len(right)), [len(s) for s in right])
+    order = np.argsort(token, kind="stable")
+    token, owner = token[order], owner[order]
+    for i, s in enumerate(left):
+        lo, hi = np.searchsorted(token, s, side="left"), np.searchsorted(token, s, side="right")
+        ends = np.cumsum(hi - lo)
+        at = 0
+        while at < len(s):  # parts of one set that lay out a bounded number of matches
+            stop = max(at + 1, int(np.searchsorted(ends, (ends[at - 1] if at else 0) + MATCHES, side="right")))
+            out[i] += np.bincount(owner[kernels.segments(lo[at:stop], (hi - lo)[at:stop])], minlength=len(right))
+            at = stop
+    return out
+
+
+def compare(left: list[tuple], right: list[tuple] | None, classes: np.ndarray, percent: int) -> list[tuple[int, int]]:
+    """Links (a, b) between classes (cid, root, set) of two blocks, or of one
+    where ``right`` is None, that tie all linked classes of different roots
+    together; pairs are verified once their prefixes share enough."""
+    other = left if right is None else right
+    own = [prefix(s, classes, percent) for _, _, s in left]
+    its = own if right is None else [prefix(s, classes, percent) for _, _, s in other]
+    n_p, n_q = np.array([[len(s)] for _, _, s in left]), np.array([len(s) for _, _, s in other])
+    l_p, l_q = np.array([[x[0]] for x in own]), np.array([x[0] for x in its])
+    maybe = _overlaps([x[1] for x in own], [x[1] for x in its]) >= np.minimum(l_p, l_q)
+    maybe &= (n_p * 100 >= n_q * percent) & (n_q * 100 >= n_p * percent)
+    maybe &= np.array([[r] for _, r, _ in left]) != np.array([r for _, r, _ in other])
+    if right is None:
+        maybe = np.triu(maybe, 1)
+    rows, cols = np.flatnonzero(maybe.any(axis=1)), np.flatnonzero(maybe.any(axis=0))
+    both = _overlaps([left[i][2] for i in rows], [other[j][2] for j in cols])
+    n_p, n_q = n_p[rows], n_q[cols]
+    linked = maybe[np.ix_(rows, cols)] & (100 * both >= percent * (n_p + n_q - both))
+    parent: dict[int, int] = {}
+
+    def find(x: int) -> int:
+        while parent.setdefault(x, x) != x:
+            parent[x] = x = parent[parent[x]]
+        return x
+
+    out = []
+    for i, j in np.argwhere(linked).tolist():
+        (a, ra, _), (b, rb, _) = left[rows[i]], other[cols[j]]
+        ra, rb = find(ra), find(rb)
+        if ra != rb:
+            parent[ra] = rb
+            out.append((a, b))
+    return out
+
+
+def _compared(rows: DataFrame, classes: np.ndarray, percent: int) -> DataFrame:
+    """Links (a, b) out of (block, other, side, cid, root, s): classes of side 0
+    against those of side 1, or against each other where ``block`` is ``other``."""
+    shared = rows.sparkSession.sparkContext.broadcast(classes)
+
+    def meet(batches):
+        sides, key = ([], []), None
+        for batch in batches:
+            s = batch.column("s")
+            for i, (block, other, side, cid, root) in enumerate(zip(*(batch.column(c).to_pylist() for c in ("block", "other", "side", "cid", "root")), strict=True)):
+                if (block, other) != key:
+                    yield from links(sides, key)
+                    sides, key = ([], []), (block, other)
+                sides[side].append((cid, root, np.frombuffer(s[i].as_py(), np.uint64)))
+        yield from links(sides, key)
+
+    def links(sides, key):
+        alone = key is not None and key[0] == key[1]
+        if sides[0] and (alone or sides[1]):
+            found = compare(sides[0], None if alone else sides[1], shared.value, percent)
+            if found:
+                a, b = zip(*found, strict=True)
+                yield pa.RecordBatch.from_arrays([pa.array(a, pa.int64()), pa.array(b, pa.int64())], ["a", "b"])
+
+    n = int(rows.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    return rows.repartition(n, "block", "other").sortWithinPartitions("block", "other", "side").select("block", "other", "side", "cid", "root", "s").mapInArrow(meet, "a long, b long")
+
+
+def _cut(members: DataFrame, *keys: str) -> DataFrame:
+    """``members`` (cid, n, keys) plus block, and whole: whether it is all of its keys' classes."""
+    size = members.groupBy(*(F.col(k).alias(f"of_{k}") for k in keys)).agg(F.greatest(F.ceil(F.count("*") / BLOCK_CLASSES), F.ceil(F.sum("n") / BLOCK_SHINGLES)).alias("blocks"))
+    same = [F.col(k).eqNullSafe(F.col(f"of_{k}")) for k in keys]
+    cut = members.join(size, same).select(*members.columns, "blocks")
+    return cut.withColumn("block", F.xxhash64(*keys, F.pmod(F.xxhash64("cid"), F.col("blocks")))).withColumn("whole", F.col("blocks") == 1).drop("blocks")
 
 
 def link(docs: DataFrame, width: int = 5, percent: int = 80) -> tuple[DataFrame, DataFrame]:
     """(members, roots): doc_id, cid, n of all rows; node, root of linked classes."""
     prepare(docs.sparkSession)
-    signed = materialise(signatures(docs, frequency_classes(docs, width), width, percent), "signatures")
+    classes = frequency_classes(docs, width)
+    signed = materialise(signatures(docs, classes, width, percent), "signatures")
     members = materialise(signed.select("doc_id", "cid", "n"), "members")
     ones = _one_each(signed)
     reps = materialise(ones.select("cid", "doc_id"), "classes")
-    by_size = Window.partitionBy("token").orderBy("n", "cid")
-    mine = ["token", "cid", "n", "l", "last", "pos"]
-    before = [F.lag(c).over(by_size).alias(a) for c, a in (("cid", "a"), ("n", "np"), ("l", "lp"), ("last", "ep"))]
-    rows = _tokens(ones).select(*mine, *before, F.lead("cid").over(by_size).alias("after"))
-    rows = materialise(rows.where("a is not null or after is not null").drop("after"), "shared-shingles")
-    release(signed)
-    # First links: the best predecessor, if it would do with twice the shingles
-    # that it shares as a neighbour in size order.
-    near = rows.where(F.col("a").isNotNull() & (F.col("np") * 100 >= F.col("n") * percent))
-    near = near.groupBy("a", F.col("cid").alias("b"), "np", "lp", "ep", F.col("n").alias("nq"), F.col("l").alias("lq"), F.col("last").alias("eq")).agg(F.count("*").alias("m"))
-    best = near.where(_may_link(2 * F.col("m"), percent)).groupBy("b").agg(F.max_by("a", F.struct("m", "a")).alias("a"))
-    best = materialise(best, "near-pairs")
-    links = materialise(verified(docs, reps, best, width, percent), "links")
+    rows = _tokens(ones)
+    shared = materialise(_shared(rows, percent), "shared-shingles")
+    # Frequent shingles: the ones found, and those that the sketch knows.
+    hot = shared.where("token is not null").select("token", F.col("a").alias("cid"), "what").unionByName(rows.where("known").select("token", "cid", "what"))
+    hot = hot.select("token", "cid", F.shiftright("what", 32).alias("n"))
+    often = hot.groupBy("token").agg(F.count("*").alias("g")).where("g > 1")
+    hot = materialise(hot.join(often, "token"), "frequent-shingles")
+    few = shared.where("token is null").groupBy("a", "b").agg(F.count("*").alias("m"), F.first("what").alias("least")).where("m >= least").select("a", "b")
+    few = materialise(few, "pairs")
+    release(shared, signed)
+    home = hot.groupBy("cid").agg(F.first("n").alias("n"), F.max_by("token", F.struct("g", "token")).alias("home"))
+    blocks = materialise(_cut(home, "home"), "blocks")
+    need = few.select(F.col("a").alias("cid")).unionByName(few.select(F.col("b").alias("cid"))).unionByName(blocks.select("cid")).distinct()
+    sets = _sets(docs, reps, need, width)
+    alone = blocks.select("block", F.col("block").alias("other"), F.lit(0).alias("side"), "cid", F.col("cid").alias("root")).join(sets, "cid")
+    links = materialise(verified(few, sets, percent).unionByName(_compared(alone, classes, percent)), "links")
     roots = materialise(components(links), "roots")
-    # What is left: pairs of classes in different components.
-    open_rows = rows.select(*mine).join(roots.withColumnRenamed("node", "cid"), "cid", "left").withColumn("root", F.coalesce("root", "cid"))
-    open_rows = materialise(open_rows, "open-shingles")
-    release(rows, best, links)
-    mixed = open_rows.groupBy("token").agg(F.min("root").alias("lo"), F.max("root").alias("hi")).where("lo <> hi").select("token")
-    rows = materialise(open_rows.join(mixed, "token", "left_semi"), "mixed-shingles")
-    release(open_rows)
-    p = rows.select(F.col("token").alias("tp"), F.col("root").alias("rp"), F.col("cid").alias("a"), F.col("n").alias("np"), F.col("l").alias("lp"), F.col("pos").alias("ip"))
-    q = rows.select(F.col("token").alias("tq"), F.col("root").alias("rq"), F.col("cid").alias("b"), F.col("n").alias("nq"), F.col("l").alias("lq"), F.col("pos").alias("iq"))
-    # What the pair has to share, and how many shingles of how long prefixes
-    # that makes: both own prefixes are long enough for these.
-    need = lambda n: F.floor((F.col(n) * percent + 99) / 100)
-    alpha = F.floor(((F.col("np") + F.col("nq")) * percent + 99 + percent) / (100 + percent))
-    least = F.least(F.col("lp") + F.floor((alpha - need("np")) / 2), F.col("lq") + F.floor((alpha - need("nq")) / 2))
-    fits = (F.col("np") * 100 >= F.col("nq") * percent) & (F.col("nq") * 100 >= F.col("np") * percent)
-    inside = (F.col("ip") <= F.col("np") - alpha + least) & (F.col("iq") <= F.col("nq") - alpha + least)
-    open_pairs = (
-        p.join(q, (F.col("tp") == F.col("tq")) & (F.col("rp") < F.col("rq")) & fits & inside)
-        .groupBy("a", "b", "np", "nq", "lp", "lq")
-        .agg(F.count("*").alias("m"))
-        .where(F.col("m") >= least)
-        .select("a", "b")
-    )
-    open_pairs = materialise(open_pairs, "open-pairs")
-    release(rows)
-    more = verified(docs, reps, open_pairs, width, percent)
-    roots = components(roots.select(F.col("node").alias("a"), F.col("root").alias("b")).unionByName(more))
-    return members, materialise(roots, "roots")
+    # Blocks that share a frequent shingle: the large components of a shingle's
+    # classes make blocks of their own, which needn't meet each other.
+    known = blocks.join(roots, F.col("cid") == F.col("node"), "left").select("cid", "n", "home", F.col("whole").alias("met"), F.coalesce("root", "cid").alias("root"))
+    large = known.groupBy("home", "root").agg(F.count("*").alias("size")).where(F.col("size") * 4 >= BLOCK_CLASSES).select("home", "root", F.col("root").alias("kin"))
+    again = materialise(_cut(known.join(large, ["home", "root"], "left"), "home", "kin"), "blocks")
+    side = hot.join(again, "cid").select("token", "block", "home", "kin", "met").distinct()
+    p, q = (side.select("token", *(F.col(c).alias(f"{c}_{x}") for c in ("block", "home", "kin", "met"))) for x in "pq")
+    apart = ~F.coalesce(F.col("kin_p") == F.col("kin_q"), F.lit(False)) & ~((F.col("home_p") == F.col("home_q")) & F.col("met_p"))
+    meet = p.join(q, "token").where((F.col("block_p") < F.col("block_q")) & apart).select(F.col("block_p").alias("block"), F.col("block_q").alias("other")).distinct()
+    meet = meet.unionByName(again.where("kin is null and not met").select("block", F.col("block").alias("other")).distinct())
+    meet = materialise(meet, "block-pairs")
+    slim = again.select(F.col("block").alias("at"), "cid", "root")
+    both = meet.join(slim, F.col("block") == F.col("at")).select("block", "other", F.lit(0).alias("side"), "cid", "root")
+    both = both.unionByName(meet.where("block <> other").join(slim, F.col("other") == F.col("at")).select("block", "other", F.lit(1).alias("side"), "cid", "root"))
+    more = materialise(_compared(both.join(sets, "cid"), classes, percent), "more-links")
+    release(hot, few, sets, blocks, meet)
+    if more.isEmpty():
+        return members, roots
+    joined = components(roots.select(F.col("node").alias("a"), F.col("root").alias("b")).unionByName(more))
+    return members, materialise(joined, "roots")
 
 
 def near_copies(docs: DataFrame, width: int = 5, percent: int = 80) -> DataFrame:

@@ -26,7 +26,9 @@ def prepare(spark: SparkSession) -> None:
     paths = [p for p in env.get("PYTHONPATH", "").split(os.pathsep) if p]
     if REPO not in paths:
         env["PYTHONPATH"] = os.pathsep.join([*paths, REPO])
-    env.setdefault("TOKENIZERS_PARALLELISM", "false")
+    # Workers give freed memory back; else each keeps what its largest batch took.
+    for name, value in (("TOKENIZERS_PARALLELISM", "false"), ("ARROW_DEFAULT_MEMORY_POOL", "system"), ("MALLOC_ARENA_MAX", "2"), ("MALLOC_TRIM_THRESHOLD_", "4194304"), ("MALLOC_MMAP_THRESHOLD_", "1048576")):
+        env.setdefault(name, value)
     batch = "spark.sql.execution.arrow.maxRecordsPerBatch"
     if not 0 < int(spark.conf.get(batch)) <= BATCH_ROWS:
         spark.conf.set(batch, BATCH_ROWS)
