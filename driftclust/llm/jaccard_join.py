@@ -10,9 +10,10 @@ rows, and demand more shared shingles before a pair is verified.
 A prefix shingle that at most ``CROWD`` classes share gives its pairs, a bounded
 number for each of its rows; pairs that come up often enough are verified. Pairs
 that share a more frequent shingle are never written out: classes meet in blocks
-of about ``BLOCK_CLASSES``, each class with the classes of its most frequent
-shingle, and a worker compares the classes of one block, or of two blocks that
-share a frequent shingle, and returns only links that tie components together.
+of about ``BLOCK_CLASSES``, each class with those of its most frequent shingle
+and its band of sizes, and a worker compares the classes of one block, or of two blocks that
+share a frequent shingle in bands whose sizes can link, and returns only links
+that tie components together.
 Blocks are compared with themselves first; two blocks whose classes are all in
 one component by then are not compared. Shingles that the frequency sketch
 already knows to be frequent are never gathered by shingle at all.
@@ -27,6 +28,7 @@ gives an empty result.
 
 from __future__ import annotations
 
+import math
 from collections.abc import Iterator
 
 import numpy as np
@@ -145,16 +147,20 @@ def signatures(docs: DataFrame, classes: np.ndarray, width: int, percent: int) -
     return docs.select("doc_id", "text").mapInArrow(sign, "doc_id long, cid long, n long, l int, rare int, prefix binary")
 
 
-def _one_each(signed: DataFrame) -> DataFrame:
-    """One row of each class. Only rows of classes that may repeat are shuffled."""
-    rows = signed.count()
-    words = bloom.build(signed.select("cid"), bloom.size_bits(rows, max_bits=1 << 27), least=2)
-    shared = signed.sparkSession.sparkContext.broadcast(words)
+def _among(spark, words: np.ndarray):
+    """A column function: whether a class id may be among those of the filter."""
+    shared = spark.sparkContext.broadcast(words)
 
     @F.arrow_udf("boolean")
     def maybe(cid: pa.Array) -> pa.Array:
         return pa.array(bloom.contains(shared.value, cid.to_numpy(zero_copy_only=False).view(np.uint64)))
 
+    return maybe
+
+
+def _one_each(signed: DataFrame) -> DataFrame:
+    """One row of each class. Only rows of classes that may repeat are shuffled."""
+    maybe = _among(signed.sparkSession, bloom.build(signed.select("cid"), bloom.size_bits(signed.count(), max_bits=1 << 27), least=2))
     tested = signed.where("n > 0").withColumn("maybe", maybe("cid"))
     some = tested.where("maybe")
     first = some.groupBy("cid").agg(F.min("doc_id").alias("first_id"))
@@ -270,23 +276,6 @@ def _sets(docs: DataFrame, reps: DataFrame, need: DataFrame, width: int) -> Data
     return made
 
 
-def verified(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
-    """The pairs (a, b) of class ids whose sets reach the similarity."""
-    first, second = sets.select(F.col("cid").alias("a"), F.col("s").alias("sa")), sets.select(F.col("cid").alias("b"), F.col("s").alias("sb"))
-
-    def similar(batches):
-        for batch in batches:
-            ok, sa, sb = [], batch.column("sa"), batch.column("sb")
-            for i in range(len(sa)):
-                both = np.concatenate([np.frombuffer(sa[i].as_buffer(), np.uint64), np.frombuffer(sb[i].as_buffer(), np.uint64)])
-                both.sort()
-                shared_n = int((both[1:] == both[:-1]).sum())
-                ok.append(100 * shared_n >= percent * (len(both) - shared_n))
-            yield pa.RecordBatch.from_arrays([batch.column("a").filter(pa.array(ok, pa.bool_())), batch.column("b").filter(pa.array(ok, pa.bool_()))], ["a", "b"])
-
-    return pairs.select("a", "b").join(first, "a").join(second, "b").select("a", "b", "sa", "sb").mapInArrow(similar, "a long, b long")
-
-
 def _overlaps(left: list[np.ndarray], right: list[np.ndarray]) -> np.ndarray:
     """How many elements each set of ``left`` shares with each of ``right``."""
     out = np.zeros((len(left), len(right)), np.int64)
@@ -305,74 +294,89 @@ def _overlaps(left: list[np.ndarray], right: list[np.ndarray]) -> np.ndarray:
     return out
 
 
-def compare(left: list[tuple], right: list[tuple] | None, classes: np.ndarray, percent: int) -> list[tuple[int, int]]:
-    """Links (a, b) between classes (cid, root, set) of two blocks, or of one
-    where ``right`` is None, that tie all linked classes of different roots
-    together; pairs are verified once their prefixes share enough."""
-    other = left if right is None else right
-    own = [prefix(s, classes, percent) for _, _, s in left]
-    its = own if right is None else [prefix(s, classes, percent) for _, _, s in other]
-    n_p, n_q = np.array([[len(s)] for _, _, s in left]), np.array([len(s) for _, _, s in other])
-    l_p, l_q = np.array([[x[0]] for x in own]), np.array([x[0] for x in its])
-    maybe = _overlaps([x[1] for x in own], [x[1] for x in its]) >= np.minimum(l_p, l_q)
-    maybe &= (n_p * 100 >= n_q * percent) & (n_q * 100 >= n_p * percent)
-    maybe &= np.array([[r] for _, r, _ in left]) != np.array([r for _, r, _ in other])
-    if right is None:
-        maybe = np.triu(maybe, 1)
-    rows, cols = np.flatnonzero(maybe.any(axis=1)), np.flatnonzero(maybe.any(axis=0))
-    both = _overlaps([left[i][2] for i in rows], [other[j][2] for j in cols])
-    n_p, n_q = n_p[rows], n_q[cols]
-    linked = maybe[np.ix_(rows, cols)] & (100 * both >= percent * (n_p + n_q - both))
-    parent: dict[int, int] = {}
-
-    def find(x: int) -> int:
-        while parent.setdefault(x, x) != x:
-            parent[x] = x = parent[parent[x]]
-        return x
-
-    out = []
-    for i, j in np.argwhere(linked).tolist():
-        (a, ra, _), (b, rb, _) = left[rows[i]], other[cols[j]]
-        ra, rb = find(ra), find(rb)
-        if ra != rb:
-            parent[ra] = rb
-            out.append((a, b))
-    return out
+def _fits(n_p, n_q, percent: int) -> np.ndarray:
+    return (n_p * 100 >= n_q * percent) & (n_q * 100 >= n_p * percent)
 
 
-def _compared(rows: DataFrame, classes: np.ndarray, percent: int) -> DataFrame:
-    """Links (a, b) out of (block, other, side, cid, root, s): classes of side 0
-    against those of side 1, or against each other where ``block`` is ``other``."""
-    shared = rows.sparkSession.sparkContext.broadcast(classes)
+def _sides(rows: DataFrame, kernel, payload: tuple[str, ...], schema: str) -> DataFrame:
+    """``kernel`` on the classes of each pair of blocks, a list for either side;
+    the second is None where ``block`` is ``other``. Rows have block, other,
+    side, cid, root and ``payload``, of which the last column is binary hashes."""
 
     def meet(batches):
         sides, key = ([], []), None
         for batch in batches:
-            s = batch.column("s")
-            for i, (block, other, side, cid, root) in enumerate(zip(*(batch.column(c).to_pylist() for c in ("block", "other", "side", "cid", "root")), strict=True)):
+            hashes = batch.column(payload[-1])
+            for i, (block, other, side, *own) in enumerate(zip(*(batch.column(c).to_pylist() for c in ("block", "other", "side", "cid", "root", *payload[:-1])), strict=True)):
                 if (block, other) != key:
-                    yield from links(sides, key)
+                    yield from told(sides, key)
                     sides, key = ([], []), (block, other)
-                sides[side].append((cid, root, np.frombuffer(s[i].as_py(), np.uint64)))
-        yield from links(sides, key)
+                sides[side].append((*own, np.frombuffer(hashes[i].as_py(), np.uint64)))
+        yield from told(sides, key)
 
-    def links(sides, key):
+    def told(sides, key):
         alone = key is not None and key[0] == key[1]
         if sides[0] and (alone or sides[1]):
-            found = compare(sides[0], None if alone else sides[1], shared.value, percent)
+            found = kernel(key, sides[0], None if alone else sides[1])
             if found:
-                a, b = zip(*found, strict=True)
-                yield pa.RecordBatch.from_arrays([pa.array(a, pa.int64()), pa.array(b, pa.int64())], ["a", "b"])
+                yield pa.RecordBatch.from_arrays([pa.array(c, pa.int64()) for c in zip(*found, strict=True)], names)
 
+    names = [c.split()[0] for c in schema.split(", ")]
     n = int(rows.sparkSession.conf.get("spark.sql.shuffle.partitions"))
-    return rows.repartition(n, "block", "other").sortWithinPartitions("block", "other", "side").select("block", "other", "side", "cid", "root", "s").mapInArrow(meet, "a long, b long")
+    return rows.repartition(n, "block", "other").sortWithinPartitions("block", "other", "side").select("block", "other", "side", "cid", "root", *payload).mapInArrow(meet, schema)
+
+
+def _candidates(rows: DataFrame, prefixes: DataFrame, percent: int) -> DataFrame:
+    """(block, other, side, cid, root) of ``rows`` whose prefix shares enough
+    with that of a class of another root on the other side."""
+
+    def share(key, left, right):
+        other = left if right is None else right
+        _, r_p, n_p, l_p, s_p = zip(*left, strict=True)
+        _, r_q, n_q, l_q, s_q = zip(*other, strict=True)
+        n_p, l_p = np.array(n_p)[:, None], np.array(l_p)[:, None]
+        _, least = _bounds(n_p, np.array(n_q), l_p, np.array(l_q), percent)
+        maybe = (_overlaps(s_p, s_q) >= least) & _fits(n_p, np.array(n_q), percent) & (np.array(r_p)[:, None] != np.array(r_q))
+        out = [(*key, 0, *left[i][:2]) for i in np.flatnonzero(maybe.any(axis=1))]
+        return out if right is None else out + [(*key, 1, *other[j][:2]) for j in np.flatnonzero(maybe.any(axis=0))]
+
+    return _sides(rows.join(prefixes, "cid"), share, ("n", "l", "prefix"), "block long, other long, side long, cid long, root long")
+
+
+def _links(rows: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
+    """Links (a, b) between classes of two sides that tie all linked classes of
+    different roots together."""
+
+    def verify(key, left, right):
+        other = left if right is None else right
+        n_p, n_q = np.array([[len(s)] for *_, s in left]), np.array([len(s) for *_, s in other])
+        both = _overlaps([s for *_, s in left], [s for *_, s in other])
+        linked = 100 * both >= percent * (n_p + n_q - both)
+        parent: dict[int, int] = {}
+
+        def find(x: int) -> int:
+            while parent.setdefault(x, x) != x:
+                parent[x] = x = parent[parent[x]]
+            return x
+
+        out = []
+        for i, j in np.argwhere(linked).tolist():
+            (a, ra, _), (b, rb, _) = left[i], other[j]
+            ra, rb = find(ra), find(rb)
+            if ra != rb:
+                parent[ra] = rb
+                out.append((a, b))
+        return out
+
+    return _sides(rows.join(sets, "cid"), verify, ("s",), "a long, b long")
 
 
 def _cut(members: DataFrame, *keys: str) -> DataFrame:
-    """``members`` (cid, n, keys) plus block, and whole: whether it is all of its keys' classes."""
-    size = members.groupBy(*(F.col(k).alias(f"of_{k}") for k in keys)).agg(F.greatest(F.ceil(F.count("*") / BLOCK_CLASSES), F.ceil(F.sum("n") / BLOCK_SHINGLES)).alias("blocks"))
+    """``members`` (cid, n, keys) plus block, together (classes of its keys) and
+    whole (whether these are one block)."""
+    size = members.groupBy(*(F.col(k).alias(f"of_{k}") for k in keys)).agg(F.greatest(F.ceil(F.count("*") / BLOCK_CLASSES), F.ceil(F.sum("n") / BLOCK_SHINGLES)).alias("blocks"), F.count("*").alias("together"))
     same = [F.col(k).eqNullSafe(F.col(f"of_{k}")) for k in keys]
-    cut = members.join(size, same).select(*members.columns, "blocks")
+    cut = members.join(size, same).select(*members.columns, "blocks", "together")
     return cut.withColumn("block", F.xxhash64(*keys, F.pmod(F.xxhash64("cid"), F.col("blocks")))).withColumn("whole", F.col("blocks") == 1).drop("blocks")
 
 
@@ -389,34 +393,46 @@ def link(docs: DataFrame, width: int = 5, percent: int = 80) -> tuple[DataFrame,
     # Frequent shingles: the ones found, and those that the sketch knows.
     hot = shared.where("token is not null").select("token", F.col("a").alias("cid"), "what").unionByName(rows.where("known").select("token", "cid", "what"))
     hot = hot.select("token", "cid", F.shiftright("what", 32).alias("n"))
-    often = hot.groupBy("token").agg(F.count("*").alias("g")).where("g > 1")
-    hot = materialise(hot.join(often, "token"), "frequent-shingles")
+    # Sets that link are in one band of sizes, or in neighbouring ones.
+    hot = hot.withColumn("band", F.floor(F.log("n") / math.log(100 / percent) + 1e-6).cast("int"))
+    often = hot.groupBy("token", "band").agg(F.count("*").alias("g"))
+    hot = materialise(hot.join(often, ["token", "band"]), "frequent-shingles")
     few = shared.where("token is null").groupBy("a", "b").agg(F.count("*").alias("m"), F.first("what").alias("least")).where("m >= least").select("a", "b")
     few = materialise(few, "pairs")
-    release(shared, signed)
-    home = hot.groupBy("cid").agg(F.first("n").alias("n"), F.max_by("token", F.struct("g", "token")).alias("home"))
-    blocks = materialise(_cut(home, "home"), "blocks")
-    need = few.select(F.col("a").alias("cid")).unionByName(few.select(F.col("b").alias("cid"))).unionByName(blocks.select("cid")).distinct()
-    sets = _sets(docs, reps, need, width)
-    alone = blocks.select("block", F.col("block").alias("other"), F.lit(0).alias("side"), "cid", F.col("cid").alias("root")).join(sets, "cid")
-    links = materialise(verified(few, sets, percent).unionByName(_compared(alone, classes, percent)), "links")
+    release(shared)
+    home = hot.groupBy("cid").agg(F.first("n").alias("n"), F.first("band").alias("band"), F.max_by("token", F.struct("g", "token")).alias("home"))
+    blocks = materialise(_cut(home, "home", "band"), "blocks")
+    among = _among(docs.sparkSession, bloom.build(blocks.select("cid"), bloom.size_bits(blocks.count(), max_bits=1 << 27)))
+    prefixes = materialise(ones.select("cid", "n", "l", "prefix").where(among("cid")), "prefixes")
+    release(signed)
+    # First the pairs, each class with its partners, and the blocks by themselves.
+    alone = blocks.where("together > 1").select("block", F.col("block").alias("other"), F.lit(0).cast("long").alias("side"), "cid", F.col("cid").alias("root"))
+    lead = few.select(F.col("a").alias("block"), F.bitwise_not("a").alias("other"), F.lit(0).cast("long").alias("side"), F.col("a").alias("cid"), F.col("a").alias("root")).distinct()
+    rest = few.select(F.col("a").alias("block"), F.bitwise_not("a").alias("other"), F.lit(1).cast("long").alias("side"), F.col("b").alias("cid"), F.col("b").alias("root"))
+    meet = materialise(_candidates(alone, prefixes, percent).unionByName(lead).unionByName(rest), "candidates")
+    sets = _sets(docs, reps, meet.select("cid").distinct(), width)
+    links = materialise(_links(meet, sets, percent), "links")
     roots = materialise(components(links), "roots")
-    # Blocks that share a frequent shingle: the large components of a shingle's
-    # classes make blocks of their own, which needn't meet each other.
-    known = blocks.join(roots, F.col("cid") == F.col("node"), "left").select("cid", "n", "home", F.col("whole").alias("met"), F.coalesce("root", "cid").alias("root"))
-    large = known.groupBy("home", "root").agg(F.count("*").alias("size")).where(F.col("size") * 4 >= BLOCK_CLASSES).select("home", "root", F.col("root").alias("kin"))
-    again = materialise(_cut(known.join(large, ["home", "root"], "left"), "home", "kin"), "blocks")
-    side = hot.join(again, "cid").select("token", "block", "home", "kin", "met").distinct()
-    p, q = (side.select("token", *(F.col(c).alias(f"{c}_{x}") for c in ("block", "home", "kin", "met"))) for x in "pq")
-    apart = ~F.coalesce(F.col("kin_p") == F.col("kin_q"), F.lit(False)) & ~((F.col("home_p") == F.col("home_q")) & F.col("met_p"))
+    release(few, meet, sets)
+    # Then blocks that share a frequent shingle: the large components of a
+    # shingle's classes make blocks of their own, which needn't meet each other.
+    known = blocks.join(roots, F.col("cid") == F.col("node"), "left").select("cid", "n", "home", "band", F.col("whole").alias("met"), F.coalesce("root", "cid").alias("root"))
+    large = known.groupBy("home", "band", "root").agg(F.count("*").alias("size")).where(F.col("size") * 4 >= BLOCK_CLASSES).select("home", "band", "root", F.col("root").alias("kin"))
+    again = materialise(_cut(known.join(large, ["home", "band", "root"], "left"), "home", "band", "kin"), "blocks")
+    side = hot.select("token", "cid").join(again, "cid").select("token", "block", "home", "band", "kin", "met").distinct()
+    p, q = (side.select("token", *(F.col(c).alias(f"{c}_{x}") for c in ("block", "home", "band", "kin", "met"))) for x in "pq")
+    apart = ~F.coalesce(F.col("kin_p") == F.col("kin_q"), F.lit(False)) & ~((F.col("home_p") == F.col("home_q")) & (F.col("band_p") == F.col("band_q")) & F.col("met_p"))
+    apart &= F.abs(F.col("band_p") - F.col("band_q")) <= 1
     meet = p.join(q, "token").where((F.col("block_p") < F.col("block_q")) & apart).select(F.col("block_p").alias("block"), F.col("block_q").alias("other")).distinct()
     meet = meet.unionByName(again.where("kin is null and not met").select("block", F.col("block").alias("other")).distinct())
     meet = materialise(meet, "block-pairs")
     slim = again.select(F.col("block").alias("at"), "cid", "root")
-    both = meet.join(slim, F.col("block") == F.col("at")).select("block", "other", F.lit(0).alias("side"), "cid", "root")
-    both = both.unionByName(meet.where("block <> other").join(slim, F.col("other") == F.col("at")).select("block", "other", F.lit(1).alias("side"), "cid", "root"))
-    more = materialise(_compared(both.join(sets, "cid"), classes, percent), "more-links")
-    release(hot, few, sets, blocks, meet)
+    both = meet.join(slim, F.col("block") == F.col("at")).select("block", "other", F.lit(0).cast("long").alias("side"), "cid", "root")
+    both = both.unionByName(meet.where("block <> other").join(slim, F.col("other") == F.col("at")).select("block", "other", F.lit(1).cast("long").alias("side"), "cid", "root"))
+    found = materialise(_candidates(both, prefixes, percent), "candidates")
+    sets = _sets(docs, reps, found.select("cid").distinct(), width)
+    more = materialise(_links(found, sets, percent), "more-links")
+    release(hot, blocks, meet, found, sets, prefixes)
     if more.isEmpty():
         return members, roots
     joined = components(roots.select(F.col("node").alias("a"), F.col("root").alias("b")).unionByName(more))

@@ -333,3 +333,23 @@ def test_word_kernel_respects_rows():
     data, off = kernels.utf8(pa.array(["ab cd", "ef", None, " gh "]))
     s, e = kernels.words(data, off)
     assert [data[a:b].tobytes() for a, b in zip(s, e, strict=True)] == [b"ab", b"cd", b"ef", b"gh"]
+
+
+@pytest.mark.parametrize("crowd, block", [(2, 4), (3, 8)])
+def test_jaccard_join_in_blocks(spark, monkeypatch, crowd, block):
+    """Groups of near copies of which not all are links, met in several blocks."""
+    monkeypatch.setattr(jaccard_join, "CROWD", crowd)
+    monkeypatch.setattr(jaccard_join, "BLOCK_CLASSES", block)
+    monkeypatch.setattr(jaccard_join, "MATCHES", 64)
+    rng = random.Random(crowd)
+    texts = []
+    for g in range(4):
+        w = words(rng, 90 + 20 * g, 10**6)
+        for k in range(24):
+            own = list(w)
+            for _ in range(rng.randrange(8)):
+                own[rng.randrange(len(own))] = f"y{g}_{k}_{rng.random()}"
+            texts.append(" ".join(own))
+    got = {r.doc_id: (r.n_shingles, r.component_id) for r in jaccard_join.near_copies(docs_of(spark, texts)).collect()}
+    want = brute_components(texts)
+    assert got == want and len({c for _, c in want.values()}) > 4
