@@ -9,11 +9,14 @@ one row. Every piece then finds its place by its rank among the pieces of its
 length, without any piece being collected.
 
 Reduction: a set of pieces that can share a sequence is fixed for good when it
-dominates every other way to use a sequence with its largest piece: the piece
-alone if nothing fits beside it; the piece with the largest fitting one, if that
-fills the sequence, or if no two others fit beside it together. Each fixing
+dominates every other way to use a sequence with its first piece. For a piece
+and the room beside it these are: the piece alone if nothing fits; the piece
+with the largest fitting one, if that fills the room, if no two others fit
+together, or if no three fit and no two are longer together; the piece with the
+two that fill the room best, if no three fit, one of the two is the largest that
+fits, and no two other pieces both longer than the shorter one fit. Each fixing
 shrinks the instance and may allow the next. What remains is packed best-fit,
-longest first.
+longest first. Should best fit alone do with fewer sequences, its packing counts.
 
 Null texts are empty documents: the end id alone. Repeated doc_ids keep their
 pieces, each its own row. Extra columns aren't read; an empty table packs to an
@@ -56,80 +59,99 @@ def pieces(docs: DataFrame, path: str, capacity: int = 1024, end_id: int = 2, pa
     return docs.select("doc_id", "text").mapInArrow(cut, "doc_id long, piece int, start long, length long, ids_crc32 long")
 
 
-class _Sizes:
-    """Counts by length with the largest present length at most x."""
-
-    def __init__(self, count: np.ndarray):
-        self.count = count
-
-    def floor(self, x: int) -> int:
-        """The largest length present that is at most x; 0 if none."""
-        present = np.flatnonzero(self.count[: x + 1])
-        return int(present[-1]) if len(present) and x > 0 else 0
-
-
-def layouts(histogram: np.ndarray, capacity: int) -> list[tuple[tuple[int, ...], int]]:
-    """(lengths in a sequence, number of such sequences), most fixed first.
-
-    histogram[l] is the number of pieces of length l, for l up to capacity.
-    """
-    count = histogram.astype(np.int64).copy()
-    count[0] = 0
-    sizes = _Sizes(count)
+def _dominant(count: np.ndarray, a: int, room: int) -> tuple[int, ...] | None:
+    """The pieces beside one of length ``a`` in a set that dominates all others,
+    or None; ``count`` is without that piece."""
+    present = np.flatnonzero(count[: room + 1])
+    if not len(present):
+        return ()
+    largest = int(present[-1])
+    if largest == room:
+        return (largest,)
+    least = np.repeat(present[:3], np.minimum(count[present[:3]], 3))[:3]
+    if len(least) < 2 or least[:2].sum() > room:
+        return (largest,)
+    if len(least) == 3 and least.sum() <= room:
+        return None
+    # Exactly two fit at most: the pair that fills the room best.
+    below = np.zeros(room + 1, np.int64)
+    below[present] = present
+    below = np.maximum.accumulate(below)
+    partner = below[room - present]
+    twin = (partner == present) & (count[present] < 2)
+    partner[twin] = below[present[twin] - 1]
+    sums = np.where(partner > 0, present + partner, 0)
+    best = int(sums.max())
+    if largest >= best:
+        return (largest,)
+    if sums[-1] < best:
+        return None
+    second = int(partner[-1])
+    between = present[present > second]
+    copies = count[between] - (between == largest)
+    rest = np.repeat(between, np.minimum(copies, 2))[:2]
+    return (largest, second) if len(rest) < 2 or rest.sum() > room else None
+
+
+def reduce(count: np.ndarray, capacity: int) -> list[tuple[tuple[int, ...], int]]:
+    """Layouts fixed by dominance; their pieces are taken off ``count``."""
     out: list[tuple[tuple[int, ...], int]] = []
-
-    def take(lengths: tuple[int, ...], times: int) -> None:
-        out.append((lengths, times))
-        for x in lengths:
-            count[x] -= times
-
-    # Dominance: from the longest piece down, as long as a set can be fixed.
     for a in range(capacity, 0, -1):
         while count[a]:
             count[a] -= 1
-            room = capacity - a
-            b = sizes.floor(room)
-            least = np.flatnonzero(count)
-            smallest = int(least[0]) if len(least) else 0
-            second = smallest if smallest and (count[smallest] > 1) else (int(least[1]) if len(least) > 1 else capacity)
+            beside = _dominant(count, a, capacity - a)
             count[a] += 1
-            if not b:
-                take((a,), int(count[a]))
-            elif b == room or smallest + second > room:
-                times = int(count[a] // 2) if a == b else int(min(count[a], count[b]))
-                if not times:
-                    break
-                take((a, b), times)
-            else:
+            if beside is None:
                 break
-    # Best fit, longest first, on what is left: among the layouts that are open
-    # the fullest that still has room takes the piece.
+            lengths = (a, *beside)
+            # Which set is fixed depends on which lengths are left and on whether
+            # there are one, two or three of one: it stays as long as three are.
+            times = min(int(count[x] - 3) // lengths.count(x) for x in set(lengths)) if beside else int(count[a])
+            times = max(1, times)
+            out.append((lengths, times))
+            for x in lengths:
+                count[x] -= times
+    return out
+
+
+def best_fit(count: np.ndarray, capacity: int) -> list[tuple[tuple[int, ...], int]]:
+    """Layouts of best fit, longest first: each piece goes to the fullest open
+    sequence with room for it, which is then the one that the next like it goes
+    to, as long as it has room."""
     levels: list[dict[tuple[int, ...], int]] = [{} for _ in range(capacity + 1)]
     open_levels = np.zeros(capacity + 1, bool)
     for a in range(capacity, 0, -1):
         left = int(count[a])
         while left:
             full = np.flatnonzero(open_levels[: capacity - a + 1])
-            if len(full):
-                level = int(full[-1])
-                lengths, times = next(iter(levels[level].items()))
-                used = min(times, left)
+            level = int(full[-1]) if len(full) else 0
+            lengths, times = next(iter(levels[level].items())) if level else ((), left)
+            put = min((capacity - level) // a, left)
+            used = min(times, left // put)
+            if level:
                 if times == used:
                     del levels[level][lengths]
                     open_levels[level] = bool(levels[level])
                 else:
                     levels[level][lengths] = times - used
-                grown = (*lengths, a)
-            else:
-                fit = capacity // a
-                grown, used, level = (a,) * min(fit, left), max(1, left // fit) if left >= fit else 1, 0
-                left -= used * (len(grown) - 1)
-            new = level + a if level else sum(grown)
+            grown, new = (*lengths, *(a,) * put), level + a * put
             levels[new][grown] = levels[new].get(grown, 0) + used
             open_levels[new] = True
-            left -= used
-    out += [(lengths, times) for level in levels for lengths, times in level.items()]
-    return out
+            left -= put * used
+    return [(lengths, times) for level in levels for lengths, times in level.items()]
+
+
+def layouts(histogram: np.ndarray, capacity: int) -> list[tuple[tuple[int, ...], int]]:
+    """(lengths in a sequence, number of such sequences), fixed ones first.
+
+    histogram[l] is the number of pieces of length l, for l up to capacity.
+    """
+    count = histogram.astype(np.int64).copy()
+    count[0] = 0
+    plain = best_fit(count, capacity)
+    reduced = reduce(count, capacity) + best_fit(count, capacity)
+    total = lambda found: sum(times for _, times in found)
+    return reduced if total(reduced) <= total(plain) else plain
 
 
 def places(histogram: np.ndarray, capacity: int) -> list[tuple[int, int, int, int, int]]:
