@@ -8,7 +8,7 @@ the number of shingles that the largest item of the partition may miss. An item
 that is contained misses fewer of its shingles than its sketch is long, so one
 sketch hash at least is met in the document: the search loses nothing, however
 long the document. Documents are read as a stream of shingle hashes that probe
-the sketches, those long enough only; a pair with enough sketch hits is a
+the sketches; a pair with enough sketch hits is a
 candidate, and its exact containment is counted over all of the item's shingles.
 
 Words are runs of non-space characters, A-Z lower-cased. A text with fewer
@@ -40,7 +40,7 @@ def word_array(text: Column) -> Column:
 
 
 def shingle_rows(df: DataFrame, key: str, width: int) -> DataFrame:
-    """(key, places, sh): a row for each place of a shingle, with their number.
+    """(key, sh): a row for each place of a shingle.
 
     The shifted copies of the word array are zipped and unnested, so hashing
     happens in generated code, row by row, after the generator. In a text of
@@ -50,8 +50,8 @@ def shingle_rows(df: DataFrame, key: str, width: int) -> DataFrame:
     words = df.select(key, word_array(F.col("text")).alias("w"))
     places = F.greatest(F.size("w") - (width - 1), F.least(F.size("w"), F.lit(1)))
     words = words.select(key, "w", places.alias("places"))
-    rows = words.select(key, "places", F.inline(F.arrays_zip(*[F.slice("w", k + 1, F.col("places")).alias(f"w{k}") for k in range(width)])))
-    return rows.select(key, "places", F.xxhash64(*[F.col(f"`{c}`") for c in rows.columns[2:]]).alias("sh"))
+    rows = words.select(key, F.inline(F.arrays_zip(*[F.slice("w", k + 1, F.col("places")).alias(f"w{k}") for k in range(width)])))
+    return rows.select(key, F.xxhash64(*[F.col(f"`{c}`") for c in rows.columns[1:]]).alias("sh"))
 
 
 def sketches(items: DataFrame, threshold: float, width: int) -> DataFrame:
@@ -83,10 +83,10 @@ def matches(docs: DataFrame, items: DataFrame, threshold: float = 0.8, width: in
     docs = docs.select(F.col(key).alias("doc_id"), F.col(text).alias("text"))
     known = materialise(sketches(items.select("item_id", "text"), threshold, width), "benchmark-shingles")
     n_known = known.count()
-    probe = _bounded(known.where("in_sketch").select("item_id", "sh", "need", "least_hits"), n_known)
+    probe = _bounded(known.where("in_sketch").select("item_id", "sh", "least_hits"), n_known)
     stream = shingle_rows(docs, "doc_id", width)
     found = (
-        stream.join(probe, (stream["sh"] == probe["sh"]) & (stream["places"] >= probe["need"]))
+        stream.join(probe, stream["sh"] == probe["sh"])
         .select("doc_id", "item_id", probe["sh"].alias("sh"), "least_hits")
         .groupBy("doc_id", "item_id", "least_hits", "sh").agg(F.lit(1).alias("one"))
         .groupBy("doc_id", "item_id", "least_hits").agg(F.count("*").alias("hits"))
@@ -95,11 +95,11 @@ def matches(docs: DataFrame, items: DataFrame, threshold: float = 0.8, width: in
     )
     found = materialise(found, "benchmark-candidates")
     ids = found.select(F.col("doc_id").alias("cand_id")).distinct()
-    if (n_ids := ids.count()) <= BROADCAST_ROWS:
+    if ids.count() <= BROADCAST_ROWS:
         # Written out, or the optimiser would split all texts before this join.
         docs = materialise(docs.join(F.broadcast(ids), docs["doc_id"].eqNullSafe(ids["cand_id"]), "left_semi"), "benchmark-texts")
-    cand = _bounded(found.select(F.col("doc_id").alias("c_doc"), F.col("item_id").alias("c_item")), n_ids)
-    stream = shingle_rows(docs, "doc_id", width).select("doc_id", "sh")
+    cand = _bounded(found.select(F.col("doc_id").alias("c_doc"), F.col("item_id").alias("c_item")), found.count())
+    stream = shingle_rows(docs, "doc_id", width)
     every = _bounded(known.select("item_id", "sh", "n_item", "need"), n_known)
     shared = stream.join(every, "sh")
     shared = shared.join(cand, shared["doc_id"].eqNullSafe(cand["c_doc"]) & shared["item_id"].eqNullSafe(cand["c_item"]), "left_semi")
