@@ -341,7 +341,8 @@ def added_spans(text: str, start: int, end: int, label: int) -> tuple[int, int]:
 
 
 def find(docs: DataFrame, model: Crf | None = None) -> DataFrame:
-    """doc_id, counts of base spans by kind, base_sha256, spans, of every row."""
+    """doc_id, counts of base spans by kind, base_sha256, spans (base and added),
+    n_spans (how many these are), of every row."""
     spark = docs.sparkSession
     prepare(spark)
     shared = spark.sparkContext.broadcast(model or train(labelled_table()))
@@ -356,7 +357,7 @@ def find(docs: DataFrame, model: Crf | None = None) -> DataFrame:
             for lo, hi in kernels.blocks(offsets):
                 for row, s, e, label in zip(*(x.tolist() for x in decode(data[offsets[lo] : offsets[hi]], offsets[lo : hi + 1] - offsets[lo], tables, bias, step)), strict=True):
                     more.setdefault(lo + row, []).append((s + int(offsets[lo]), e + int(offsets[lo]), label))
-            counts, base_sha, spans = [], [], []
+            counts, base_sha, spans, n_spans = [], [], [], []
             for r, text in enumerate(texts):
                 base = base_spans(text or "")
                 names = [f"{KINDS[k]}:{s}:{e}" for s, k, e in base]
@@ -372,7 +373,8 @@ def find(docs: DataFrame, model: Crf | None = None) -> DataFrame:
                             every.append((s, label - 1, e, f"{LABELS[label]}:{s}:{e}"))
                     names = [x[3] for x in sorted(every)]
                 spans.append(",".join(names))
+                n_spans.append(len(names))
             n = np.array(counts, np.int64).reshape(len(texts), 4)
-            yield pa.RecordBatch.from_arrays([batch.column("doc_id"), *(pa.array(n[:, j]) for j in range(4)), pa.array(base_sha, pa.string()), pa.array(spans, pa.string())], ["doc_id", "n_email", "n_ip", "n_card", "n_phone", "base_sha256", "spans"])
+            yield pa.RecordBatch.from_arrays([batch.column("doc_id"), *(pa.array(n[:, j]) for j in range(4)), pa.array(base_sha, pa.string()), pa.array(spans, pa.string()), pa.array(n_spans, pa.int64())], ["doc_id", "n_email", "n_ip", "n_card", "n_phone", "base_sha256", "spans", "n_spans"])
 
-    return docs.select("doc_id", "text").mapInArrow(search, "doc_id long, n_email long, n_ip long, n_card long, n_phone long, base_sha256 string, spans string")
+    return docs.select("doc_id", "text").mapInArrow(search, "doc_id long, n_email long, n_ip long, n_card long, n_phone long, base_sha256 string, spans string, n_spans long")
