@@ -51,6 +51,9 @@ KNOWN_CROWD = 16
 #: Classes and shingles of a block, on average.
 BLOCK_CLASSES = 256
 BLOCK_SHINGLES = 1 << 19
+#: Up to this many rows of classes to be compared are sent to all tasks that
+#: read texts; beyond, the texts picked out by the filter are shuffled.
+BROADCAST_ROWS = 500_000
 #: Matches that a worker lays out at once.
 MATCHES = 1 << 21
 
@@ -255,27 +258,6 @@ def _shared(rows: DataFrame, percent: int) -> DataFrame:
     return rows.where("not known").select("token", "cid", "what").repartition(n, "token").sortWithinPartitions("token").mapInArrow(gather, "token long, a long, b long, what long")
 
 
-def _sets(docs: DataFrame, reps: DataFrame, need: DataFrame, width: int) -> DataFrame:
-    """cid, s (binary hashes) of the classes in ``need``, and perhaps a few more.
-
-    Sets are made again from the texts of the classes' first documents, which a
-    filter of bounded size picks out of the scan.
-    """
-    ids = materialise(need.join(reps, "cid").select(F.xxhash64("doc_id").alias("h")), "set-ids")
-    shared = docs.sparkSession.sparkContext.broadcast(bloom.build(ids, bloom.size_bits(ids.count(), max_bits=1 << 27)))
-
-    def sets(batches):
-        for batch in batches:
-            keep = np.flatnonzero(bloom.contains(shared.value, batch.column("h").to_numpy(zero_copy_only=False).view(np.uint64)))
-            for lo in range(0, len(keep), 64):
-                found = [s for _, s in kernels.text_shingles(batch.column("text").take(pa.array(keep[lo : lo + 64])), width) if len(s)]
-                yield pa.RecordBatch.from_arrays([pa.array([class_id(s) for s in found], pa.int64()), kernels.binary_column(found)], ["cid", "s"])
-
-    made = materialise(docs.select(F.xxhash64("doc_id").alias("h"), "text").mapInArrow(sets, "cid long, s binary"), "sets")
-    release(ids)
-    return made
-
-
 def _overlaps(left: list[np.ndarray], right: list[np.ndarray]) -> np.ndarray:
     """How many elements each set of ``left`` shares with each of ``right``."""
     out = np.zeros((len(left), len(right)), np.int64)
@@ -343,7 +325,32 @@ def _candidates(rows: DataFrame, prefixes: DataFrame, percent: int) -> DataFrame
     return _sides(rows.join(prefixes, "cid"), share, ("n", "l", "prefix"), "block long, other long, side long, cid long, root long")
 
 
-def _links(rows: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
+def _with_sets(meet: DataFrame, docs: DataFrame, reps: DataFrame, width: int) -> DataFrame:
+    """``meet`` (block, other, side, cid, root) with s, the class's set.
+
+    Sets are made again from the texts of the classes' first documents, which a
+    filter of bounded size picks out of the scan.
+    """
+    targets = materialise(meet.join(reps, "cid").withColumnRenamed("doc_id", "rep"), "targets")
+    rows = targets.count()
+    among = _among(docs.sparkSession, bloom.build(targets.select(F.xxhash64("rep").alias("h")), bloom.size_bits(rows, max_bits=1 << 27)))
+    texts = docs.select("doc_id", "text").where(among(F.xxhash64("doc_id")))
+    told = texts.join(F.broadcast(targets) if rows <= BROADCAST_ROWS else targets, F.col("doc_id").eqNullSafe(F.col("rep")))
+
+    def sets(batches):
+        for batch in batches:
+            cid = batch.column("cid").to_pylist()
+            for lo in range(0, batch.num_rows, 64):
+                part = batch.slice(lo, 64)
+                found = [(r, s) for r, s in kernels.text_shingles(part.column("text"), width) if len(s) and class_id(s) == cid[lo + r]]
+                part = part.select(names).take(pa.array([r for r, _ in found], pa.int64()))
+                yield pa.RecordBatch.from_arrays([*part.columns, kernels.binary_column([s for _, s in found])], [*names, "s"])
+
+    names = ["block", "other", "side", "cid", "root"]
+    return told.select(*names, "text").mapInArrow(sets, "block long, other long, side long, cid long, root long, s binary")
+
+
+def _links(rows: DataFrame, percent: int) -> DataFrame:
     """Links (a, b) between classes of two sides that tie all linked classes of
     different roots together."""
 
@@ -368,7 +375,7 @@ def _links(rows: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
                 out.append((a, b))
         return out
 
-    return _sides(rows.join(sets, "cid"), verify, ("s",), "a long, b long")
+    return _sides(rows, verify, ("s",), "a long, b long")
 
 
 def _cut(members: DataFrame, *keys: str) -> DataFrame:
@@ -410,10 +417,9 @@ def link(docs: DataFrame, width: int = 5, percent: int = 80) -> tuple[DataFrame,
     lead = few.select(F.col("a").alias("block"), F.bitwise_not("a").alias("other"), F.lit(0).cast("long").alias("side"), F.col("a").alias("cid"), F.col("a").alias("root")).distinct()
     rest = few.select(F.col("a").alias("block"), F.bitwise_not("a").alias("other"), F.lit(1).cast("long").alias("side"), F.col("b").alias("cid"), F.col("b").alias("root"))
     meet = materialise(_candidates(alone, prefixes, percent).unionByName(lead).unionByName(rest), "candidates")
-    sets = _sets(docs, reps, meet.select("cid").distinct(), width)
-    links = materialise(_links(meet, sets, percent), "links")
+    links = materialise(_links(_with_sets(meet, docs, reps, width), percent), "links")
     roots = materialise(components(links), "roots")
-    release(few, meet, sets)
+    release(few, meet)
     # Then blocks that share a frequent shingle: the large components of a
     # shingle's classes make blocks of their own, which needn't meet each other.
     known = blocks.join(roots, F.col("cid") == F.col("node"), "left").select("cid", "n", "home", "band", F.col("whole").alias("met"), F.coalesce("root", "cid").alias("root"))
@@ -430,9 +436,8 @@ def link(docs: DataFrame, width: int = 5, percent: int = 80) -> tuple[DataFrame,
     both = meet.join(slim, F.col("block") == F.col("at")).select("block", "other", F.lit(0).cast("long").alias("side"), "cid", "root")
     both = both.unionByName(meet.where("block <> other").join(slim, F.col("other") == F.col("at")).select("block", "other", F.lit(1).cast("long").alias("side"), "cid", "root"))
     found = materialise(_candidates(both, prefixes, percent), "candidates")
-    sets = _sets(docs, reps, found.select("cid").distinct(), width)
-    more = materialise(_links(found, sets, percent), "more-links")
-    release(hot, blocks, meet, found, sets, prefixes)
+    more = materialise(_links(_with_sets(found, docs, reps, width), percent), "more-links")
+    release(hot, blocks, meet, found, prefixes)
     if more.isEmpty():
         return members, roots
     joined = components(roots.select(F.col("node").alias("a"), F.col("root").alias("b")).unionByName(more))
