@@ -14,6 +14,7 @@ Rows with a repeated doc_id are scored each; extra columns are ignored.
 
 from __future__ import annotations
 
+from collections import Counter
 from dataclasses import dataclass
 
 import numpy as np
@@ -21,7 +22,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from . import features
+from . import features, kernels
 from .labelled import held_out, sample
 from .scratch import materialise, prepare
 
@@ -90,9 +91,15 @@ def train(docs: DataFrame, labels: DataFrame, label: str = "toxic", params: Ftrl
             yield pa.RecordBatch.from_arrays([batch.column("doc_id"), batch.column("y"), pa.array(sets, pa.binary())], ["doc_id", "y", "slots"])
 
     def fit(batches):
-        rows = [r for b in batches for r in zip(b.column("doc_id").to_pylist(), b.column("y").to_pylist(), b.column("slots").to_pylist(), strict=True)]
-        rows.sort(key=lambda r: ((r[0] * 0x9E3779B1) & 0xFFFFFFFF, r[0], r[1], r[2]))
-        m = ftrl([(np.frombuffer(s, np.int32).astype(np.int64), y) for _, y, s in rows], params)
+        # The examples stay views of the batches' buffers: a worker lives on
+        # after this task, and what it holds in many small pieces stays with it.
+        rows = []
+        for b in batches:
+            data, off = kernels.utf8(b.column("slots"))
+            rows += [(i, y, data[lo:hi].view(np.int32)) for i, y, lo, hi in zip(b.column("doc_id").to_pylist(), b.column("y").to_pylist(), off[:-1].tolist(), off[1:].tolist(), strict=True)]
+        times = Counter(r[0] for r in rows)
+        rows.sort(key=lambda r: ((r[0] * 0x9E3779B1) & 0xFFFFFFFF, r[0], r[1], r[2].tobytes() if times[r[0]] > 1 else b""))
+        m = ftrl([(s, y) for _, y, s in rows], params)
         yield pa.RecordBatch.from_arrays([pa.array([m.bias]), pa.array([m.slot.astype(np.int64).tobytes()], pa.binary()), pa.array([m.weight.tobytes()], pa.binary())], ["bias", "slot", "weight"])
 
     rows = sample(docs, labels, label, params.max_rows)
