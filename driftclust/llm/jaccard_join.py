@@ -38,7 +38,7 @@ from pyspark.sql import functions as F
 
 from . import bloom, kernels
 from .graph import components
-from .scratch import materialise, prepare, release
+from .scratch import lean, materialise, prepare, release
 
 SKETCH_BITS = 22
 _PART = 1 << 16
@@ -97,7 +97,7 @@ def frequency_classes(docs: DataFrame, width: int) -> np.ndarray:
                 total += np.frombuffer(cells, {1: np.uint8, 2: np.uint16, 8: np.int64}[size])
         yield pa.RecordBatch.from_arrays([pa.array([key[0].as_py()], pa.int32()), pa.array([int(total.sum())]), pa.array([np.round(16 * np.log2(1 + total)).astype(np.uint16).tobytes()], pa.binary())], ["p", "n", "cells"])
 
-    rows = docs.select("text").mapInArrow(count, "p int, size int, cells binary").groupBy("p").applyInArrow(add, "p int, n long, cells binary").collect()
+    rows = docs.select("text").mapInArrow(lean(count), "p int, size int, cells binary").groupBy("p").applyInArrow(add, "p int, n long, cells binary").collect()
     logs, seen = np.zeros(1 << SKETCH_BITS, np.uint16), 0
     for r in rows:
         logs[r.p * _PART : (r.p + 1) * _PART] = np.frombuffer(bytes(r.cells), np.uint16)
@@ -147,7 +147,7 @@ def signatures(docs: DataFrame, classes: np.ndarray, width: int, percent: int) -
                 cols = [pa.array(c, t) for c, t in zip(zip(*rows, strict=True), (pa.int64(), pa.int64(), pa.int32(), pa.int32(), pa.binary()), strict=True)]
                 yield pa.RecordBatch.from_arrays([batch.column("doc_id"), *cols], ["doc_id", "cid", "n", "l", "rare", "prefix"])
 
-    return docs.select("doc_id", "text").mapInArrow(sign, "doc_id long, cid long, n long, l int, rare int, prefix binary")
+    return docs.select("doc_id", "text").mapInArrow(lean(sign), "doc_id long, cid long, n long, l int, rare int, prefix binary")
 
 
 def _among(spark, words: np.ndarray):
@@ -192,7 +192,7 @@ def _tokens(signed: DataFrame) -> DataFrame:
                 yield pa.RecordBatch.from_arrays([pa.array(np.frombuffer(b"".join(raw[lo:hi]), np.int64)), pa.array(cid[at]), pa.array(pos > rare[at]), pa.array(what)], ["token", "cid", "known", "what"])
                 lo = hi
 
-    return signed.select("cid", "n", "l", "rare", "prefix").mapInArrow(spread, "token long, cid long, known boolean, what long")
+    return signed.select("cid", "n", "l", "rare", "prefix").mapInArrow(lean(spread), "token long, cid long, known boolean, what long")
 
 
 def _bounds(np_, nq, lp, lq, percent: int):
@@ -255,7 +255,7 @@ def _shared(rows: DataFrame, percent: int) -> DataFrame:
                     yield pa.RecordBatch.from_arrays([pa.nulls(len(a), pa.int64()), pa.array(np.minimum(a, b)), pa.array(np.maximum(a, b)), pa.array(least[fit])], ["token", "a", "b", "what"])
 
     n = int(rows.sparkSession.conf.get("spark.sql.shuffle.partitions"))
-    return rows.where("not known").select("token", "cid", "what").repartition(n, "token").sortWithinPartitions("token").mapInArrow(gather, "token long, a long, b long, what long")
+    return rows.where("not known").select("token", "cid", "what").repartition(n, "token").sortWithinPartitions("token").mapInArrow(lean(gather), "token long, a long, b long, what long")
 
 
 def _overlaps(left: list[np.ndarray], right: list[np.ndarray]) -> np.ndarray:
@@ -305,7 +305,7 @@ def _sides(rows: DataFrame, kernel, payload: tuple[str, ...], schema: str) -> Da
 
     names = [c.split()[0] for c in schema.split(", ")]
     n = int(rows.sparkSession.conf.get("spark.sql.shuffle.partitions"))
-    return rows.repartition(n, "block", "other").sortWithinPartitions("block", "other", "side").select("block", "other", "side", "cid", "root", *payload).mapInArrow(meet, schema)
+    return rows.repartition(n, "block", "other").sortWithinPartitions("block", "other", "side").select("block", "other", "side", "cid", "root", *payload).mapInArrow(lean(meet), schema)
 
 
 def _candidates(rows: DataFrame, prefixes: DataFrame, percent: int) -> DataFrame:
@@ -347,7 +347,7 @@ def _with_sets(meet: DataFrame, docs: DataFrame, reps: DataFrame, width: int) ->
                 yield pa.RecordBatch.from_arrays([*part.columns, kernels.binary_column([s for _, s in found])], [*names, "s"])
 
     names = ["block", "other", "side", "cid", "root"]
-    return told.select(*names, "text").mapInArrow(sets, "block long, other long, side long, cid long, root long, s binary")
+    return told.select(*names, "text").mapInArrow(lean(sets), "block long, other long, side long, cid long, root long, s binary")
 
 
 def _links(rows: DataFrame, percent: int) -> DataFrame:

@@ -33,7 +33,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from . import tokens
-from .scratch import materialise, prepare
+from .scratch import lean, materialise, prepare
 
 
 def pieces(docs: DataFrame, path: str, capacity: int = 1024, end_id: int = 2, passed: tuple[str, ...] = ()) -> DataFrame:
@@ -56,7 +56,7 @@ def pieces(docs: DataFrame, path: str, capacity: int = 1024, end_id: int = 2, pa
             kept = [batch.column(c).take(pa.array(row)) for c in ("doc_id",)]
             yield pa.RecordBatch.from_arrays([*kept, pa.array(piece.astype(np.int32)), pa.array(start), pa.array(length), pa.array(crc, pa.int64())], ["doc_id", "piece", "start", "length", "ids_crc32"])
 
-    return docs.select("doc_id", "text").mapInArrow(cut, "doc_id long, piece int, start long, length long, ids_crc32 long")
+    return docs.select("doc_id", "text").mapInArrow(lean(cut), "doc_id long, piece int, start long, length long, ids_crc32 long")
 
 
 def _dominant(count: np.ndarray, a: int, room: int) -> tuple[int, ...] | None:

@@ -7,6 +7,8 @@ share; a lost executor then costs a re-read, never a lost result.
 
 from __future__ import annotations
 
+import ctypes
+import functools
 import gc
 import os
 import tempfile
@@ -34,6 +36,23 @@ def prepare(spark: SparkSession) -> None:
         spark.conf.set(batch, BATCH_ROWS)
 
 
+def lean(task):
+    """A task over Arrow batches that hands freed memory back when it ends.
+
+    Spark deals tasks out to all idle workers in turn, so what each still holds
+    afterwards adds up over the workers of an executor.
+    """
+
+    @functools.wraps(task)
+    def run(*batches):
+        yield from task(*batches)
+        gc.collect()
+        if trim := getattr(ctypes.CDLL(None), "malloc_trim", None):
+            trim(0)
+
+    return run
+
+
 def shared_dir(spark: SparkSession) -> str:
     """The shared folder as a URI; a temporary one only where none is set."""
     root = spark.sparkContext.getConf().get("spark.checkpoint.dir") or spark.conf.get("spark.checkpoint.dir", "")

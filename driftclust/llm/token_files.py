@@ -28,7 +28,7 @@ from pyspark.sql import functions as F
 
 from . import tokens
 from .files import open_store, task_name
-from .scratch import materialise, new_dir, prepare
+from .scratch import lean, materialise, new_dir, prepare
 
 MAGIC = b"VBTOKEN1"
 #: Ids of a frame: what a reader and a writer hold at once.
@@ -73,7 +73,7 @@ def ranking(docs: DataFrame, path: str, end_id: int) -> np.ndarray:
         used = np.flatnonzero(total)
         yield pa.RecordBatch.from_arrays([pa.array(used), pa.array(total[used])], ["id", "n"])
 
-    rows = docs.select("text").mapInArrow(count, "id long, n long").groupBy("id").agg(F.sum("n").alias("n"))
+    rows = docs.select("text").mapInArrow(lean(count), "id long, n long").groupBy("id").agg(F.sum("n").alias("n"))
     return np.array([r.id for r in rows.orderBy(F.desc("n"), "id").collect()], np.uint32)
 
 
@@ -124,7 +124,7 @@ def write(docs: DataFrame, folder: str, path: str, end_id: int = 0) -> DataFrame
             yield pa.RecordBatch.from_arrays([pa.array([TaskContext.get().partitionId()]), pa.array([name]), pa.array([n_docs]), pa.array([n_ids])], ["part", "file", "n_docs", "n_ids"])
 
     spread = docs.repartitionByRange("doc_id").sortWithinPartitions("doc_id", "text")
-    return materialise(spread.mapInArrow(save, "part long, file string, n_docs long, n_ids long"), "token-manifest")
+    return materialise(spread.mapInArrow(lean(save), "part long, file string, n_docs long, n_ids long"), "token-manifest")
 
 
 def frames(stream):

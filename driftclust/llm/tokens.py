@@ -190,7 +190,7 @@ class Encoder:
         data, offsets = kernels.utf8(column)
         cut, owner = safe_cuts(data, offsets, added=self.added)
         flat, count = [np.zeros(0, np.int32)], np.zeros(len(offsets) - 1, np.int64)
-        for lo, hi in kernels.blocks(cut, 2 * kernels.BLOCK):
+        for lo, hi in kernels.blocks(cut, kernels.BLOCK // 2):
             ids, n = self._block(data[cut[lo] : cut[hi]], cut[lo : hi + 1] - cut[lo])
             flat.append(ids)
             np.add.at(count, owner[lo:hi], n)

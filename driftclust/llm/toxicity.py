@@ -24,7 +24,7 @@ from pyspark.sql import functions as F
 
 from . import features, kernels
 from .labelled import held_out, sample
-from .scratch import materialise, prepare
+from .scratch import lean, materialise, prepare
 
 
 @dataclass(frozen=True)
@@ -103,8 +103,8 @@ def train(docs: DataFrame, labels: DataFrame, label: str = "toxic", params: Ftrl
         yield pa.RecordBatch.from_arrays([pa.array([m.bias]), pa.array([m.slot.astype(np.int64).tobytes()], pa.binary()), pa.array([m.weight.tobytes()], pa.binary())], ["bias", "slot", "weight"])
 
     rows = sample(docs, labels, label, params.max_rows)
-    found = materialise(rows.mapInArrow(extract, "doc_id long, y int, slots binary"), "toxicity-sample")
-    got = found.coalesce(1).mapInArrow(fit, "bias double, slot binary, weight binary").collect()
+    found = materialise(rows.mapInArrow(lean(extract), "doc_id long, y int, slots binary"), "toxicity-sample")
+    got = found.coalesce(1).mapInArrow(lean(fit), "bias double, slot binary, weight binary").collect()
     if not got:
         return LinearModel(bits, 0.0, np.zeros(0, np.int64), np.zeros(0, np.float32))
     return LinearModel(bits, got[0].bias, np.frombuffer(bytes(got[0].slot), np.int64), np.frombuffer(bytes(got[0].weight), np.float32))

@@ -5,9 +5,11 @@ import zlib
 
 import numpy as np
 import pyarrow as pa
+import pytest
 from tokenizers import Tokenizer
 
 from driftclust.llm import packing, token_files, tokens
+from driftclust.llm.scratch import lean
 
 END = "<|endoftext|>"
 
@@ -44,3 +46,16 @@ def test_token_files_and_packing_with_added_tokens(spark):
     for i, t in enumerate(texts):
         ids = [*lib.encode(t or "", add_special_tokens=False).ids, 2]
         assert got[i] == (len(ids), crc(ids))
+
+
+def test_lean_passes_batches_on_and_errors_up():
+    assert list(lean(lambda rows: (2 * r for r in rows))([1, 2])) == [2, 4]
+
+    def broken(rows):
+        yield next(rows)
+        raise ValueError("broken")
+
+    got = lean(broken)(iter([1]))
+    assert next(got) == 1
+    with pytest.raises(ValueError, match="broken"):
+        next(got)
