@@ -16,6 +16,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from .scratch import lean
+
 PROBES = 3
 SEGMENT_BITS = 1 << 16
 
@@ -83,7 +85,7 @@ def build(hashes: DataFrame, bits: int, least: int = 1) -> np.ndarray:
         if got.any():
             yield pa.RecordBatch.from_arrays([pa.array([key[0].as_py()], pa.int32()), pa.array([np.packbits(got, bitorder="little").tobytes()], pa.binary())], ["segment", "word"])
 
-    parts = hashes.select(F.col(name).cast("long")).mapInArrow(partial, "segment int, once binary, twice binary")
+    parts = hashes.select(F.col(name).cast("long")).mapInArrow(lean(partial), "segment int, once binary, twice binary")
     merged = parts.groupBy("segment").applyInArrow(merge, "segment int, word binary")
     out = np.zeros(bits // 8, np.uint8)
     for row in merged.toLocalIterator():
