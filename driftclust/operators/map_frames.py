@@ -1,7 +1,8 @@
 """Map, gap and separability operators over DataFrames.
 
-A codebook (neuron, w, ...) is small: its size is checked before it is
-broadcast, and a larger one is joined by ranges of neurons instead.
+A codebook (neuron, w, ...) is small. ``winners`` checks its size before the
+broadcast and raises an error beyond ``CODEBOOK_ROWS``; the forms for SQL users
+broadcast what they are given.
 """
 
 from __future__ import annotations
@@ -16,7 +17,7 @@ from pyspark.sql import functions as F
 from . import growing_map, merging
 from .features import dist, sq_dist
 
-#: Neurons beyond which winners are searched block by block.
+#: Neurons beyond which ``winners`` raises an error.
 CODEBOOK_ROWS = 100_000
 
 
