@@ -4,10 +4,12 @@ import glob
 import os
 
 import duckdb
+import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
 from driftclust import queries as Q
+from driftclust.operators import map_frames
 from driftclust.sources import tables
 
 WHOLE = [
@@ -38,3 +40,28 @@ def test_planted_sets_hold_every_order(spark, sf):
     for name in ("id", "dense", "grid"):
         p = tables.points(spark, sf, name).agg(F.count("*").alias("n"), F.count_distinct("obj_id").alias("k")).first()
         assert (p.n, p.k) == (n, n)
+
+
+def test_neighbours_and_densities_of_copies_and_ties_equal_brute_force(spark):
+    rng = np.random.default_rng(5)
+    x = np.vstack([rng.random((60, 5)), np.repeat(rng.random((2, 5)), 70, axis=0), rng.integers(0, 3, (80, 5)) / 2.0])
+    ids = rng.permutation(len(x)) * 3
+    d2 = np.zeros((len(x), len(x)))
+    for c in range(5):
+        d2 += (x[:, c][:, None] - x[:, c][None, :]) ** 2
+    df = spark.createDataFrame(list(zip(ids.tolist(), x.tolist(), strict=True)), "obj_id long, x array<double>")
+    others = [[j for j in range(len(x)) if j != i] for i in range(len(x))]
+    want = sorted((int(ids[i]), int(ids[j])) for i in range(len(x)) for j in sorted(others[i], key=lambda j: (d2[i, j], ids[j]))[:10])
+    plan = map_frames.knn(df, 10, 3)
+    assert sorted((r.obj_id, r.nbr_id) for r in plan.collect()) == want
+    assert "NestedLoopJoin" not in plan._jdf.queryExecution().toString() and "FlatMapCoGroupsInArrow" in plan._jdf.queryExecution().toString()
+    rho = {int(ids[i]): sum(d2[i, j] < 0.5 for j in others[i]) for i in range(len(x))}
+    got = map_frames.within(df, 0.5, 3)
+    assert {r.obj_id: r.rho for r in got.collect()} == rho
+    up = {}
+    for i in range(len(x)):
+        a = int(ids[i])
+        above = [(d2[i, j], int(ids[j])) for j in others[i] if (-rho[int(ids[j])], int(ids[j])) < (-rho[a], a)]
+        if above:
+            up[a] = min(above)
+    assert {r.obj_id: (r.d2, r.parent) for r in map_frames.nearest_denser(df, got, 3).collect()} == up
