@@ -88,3 +88,25 @@ def test_growth_beyond_max_neurons_is_refused():
     x = np.random.default_rng(6).random((5000, 2))
     with pytest.raises(ValueError, match="max_neurons"):
         growing_map.fit(x, Params(max_neurons=46))
+
+
+def test_neighbours_compare_few_of_the_pairs(monkeypatch):
+    """An outlier or a pile of copies must not bring all pairs back."""
+    rng = np.random.default_rng(8)
+    x = np.vstack([rng.normal(0.5, 0.03, (9000, 2)), np.repeat(rng.random((1, 2)), 3000, axis=0), rng.random((20, 2)) * 50])
+    compared, real = [0], merging._sq
+    monkeypatch.setattr(merging, "_sq", lambda a, b: compared.__setitem__(0, compared[0] + len(a) * len(b)) or real(a, b))
+    near = merging.neighbours(x, 10)
+    assert compared[0] < 0.1 * len(x) ** 2
+    for i in (0, 8999, 9000, 11999, 12019):
+        d = ((x - x[i]) ** 2).sum(axis=1)
+        d[i] = np.inf
+        assert near[i].tolist() == sorted(np.lexsort((np.arange(len(x)), d))[:10].tolist())
+
+
+def test_nearest_equals_a_full_sort():
+    rng = np.random.default_rng(9)
+    x, w = rng.integers(0, 5, (900, 3)) / 4.0, rng.integers(0, 5, (70, 3)) / 4.0
+    win, dist = growing_map.nearest(x, w)
+    d = np.sqrt(((x[:, None] - w[None]) ** 2).sum(axis=2))
+    assert (win == d.argmin(axis=1)).all() and (dist == d.min(axis=1)).all()
