@@ -109,3 +109,15 @@ def test_windowed_stream_counts(spark, sf):
     q = windowed_counts(tables.read_stream(spark, sf)).writeStream.format("memory").queryName("w").outputMode("append").trigger(availableNow=True).start()
     q.awaitTermination()
     assert spark.sql("select count(distinct chunk_id) c from w").first().c >= 48
+
+
+#: Table and the columns of it that each query's job stands on.
+ON_TABLES = {"mixture_curve": "lineitem", "gap_udf": "lineitem", "score_trace": "lineitem", "best_k": "lineitem", "knee_k": "lineitem", "summary_mean_std": "events", "rank_methods": "events", "cost_predict": "events"}
+
+
+@pytest.mark.parametrize("name", ON_TABLES)
+def test_query_reads_its_table_and_equals_sql(spark, sf, name):
+    df = Q.queries()[name](spark, sf)
+    assert any(f.endswith(f"/{ON_TABLES[name]}.parquet") for f in df.inputFiles())
+    test_query_equals_sql(spark, sf, name)
+    assert df.count() > 0
