@@ -110,3 +110,16 @@ def test_nearest_equals_a_full_sort():
     win, dist = growing_map.nearest(x, w)
     d = np.sqrt(((x[:, None] - w[None]) ** 2).sum(axis=2))
     assert (win == d.argmin(axis=1)).all() and (dist == d.min(axis=1)).all()
+
+
+@pytest.mark.parametrize("kind", ["plain", "copies"])
+def test_pair_quantile_is_exact_without_all_pairs(kind, monkeypatch):
+    rng = np.random.default_rng(4)
+    x = rng.random((400, 2)) if kind == "plain" else rng.integers(0, 3, (400, 2)) / 2.0
+    d = growing_map.sq_distances(x, x)[np.triu_indices(400, 1)]
+    for q in (0.0, 0.02, 0.37, 1.0):
+        assert baselines.pair_quantile(x, q) == np.quantile(d, q)
+    most, real = [0], baselines.sq_distances
+    monkeypatch.setattr(baselines, "sq_distances", lambda a, b: most.__setitem__(0, max(most[0], len(a) * len(b))) or real(a, b))
+    baselines.density_peaks(rng.random((3000, 2)), 3)
+    assert most[0] < 3000 * 3000
