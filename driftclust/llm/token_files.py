@@ -11,6 +11,9 @@ data bytes; i64 doc_id, u32 id count of each document; control bytes; data
 bytes. Each document's ids end with ``end_id``. Files hold ascending doc_id and
 follow each other in the order of the manifest's ``part``.
 
+Texts are encoded once: their ids, with the text where a doc_id may be repeated,
+are what is counted, sorted and written.
+
 Null text is empty: its row is the end id alone. Null ids come first and are
 written as the smallest long. Repeated doc_ids keep a row each, ordered by the
 text. Extra columns aren't read; an empty table writes no file.
@@ -23,12 +26,13 @@ import zlib
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from . import tokens
+from . import bloom, tokens
 from .files import open_store, task_name
-from .scratch import lean, materialise, new_dir, prepare
+from .scratch import lean, materialise, new_dir, prepare, release
 
 MAGIC = b"VBTOKEN1"
 #: Ids of a frame: what a reader and a writer hold at once.
@@ -60,21 +64,50 @@ def unpack(control: np.ndarray, data: np.ndarray, n: int) -> np.ndarray:
     return out
 
 
-def ranking(docs: DataFrame, path: str, end_id: int) -> np.ndarray:
-    """Ids by falling count over all texts, ties by id; bounded by the vocabulary."""
+def encoded(docs: DataFrame, path: str, end_id: int) -> DataFrame:
+    """doc_id, tie, size, ids of all rows: ids with the end id, of 2 or 4 bytes
+    (size) each. tie is the text where the doc_id may be repeated, else null."""
+    spark = docs.sparkSession
+    repeated = bloom.build(docs.select(F.xxhash64("doc_id").alias("h")), bloom.size_bits(docs.count(), max_bits=1 << 27), least=2)
+    shared = spark.sparkContext.broadcast(repeated)
 
-    def count(batches):
+    def encode(batches):
         enc = tokens.encoder(path)
-        total = np.zeros(enc.tokenizer.get_vocab_size(), np.int64)
         for batch in batches:
-            ids, _ = enc.encode(batch.column(0))
-            total += np.bincount(ids, minlength=len(total))
-            total[end_id] += batch.num_rows
+            ids, off = tokens.with_end(*enc.encode(batch.column("text")), end_id)
+            kind = np.dtype("<u2" if ids.max(initial=0) < 1 << 16 else "<u4")
+            raw, edge = ids.astype(kind).tobytes(), (off * kind.itemsize).tolist()
+            maybe = bloom.contains(shared.value, batch.column("h").to_numpy().view(np.uint64))
+            tie = pc.if_else(pa.array(maybe), batch.column("text"), pa.scalar(None, batch.column("text").type))
+            yield pa.RecordBatch.from_arrays([batch.column("doc_id"), tie, pa.array(np.full(batch.num_rows, kind.itemsize, np.int32)), pa.array([raw[a:b] for a, b in zip(edge[:-1], edge[1:], strict=True)], pa.binary())], ["doc_id", "tie", "size", "ids"])
+
+    rows = docs.select("doc_id", "text", F.xxhash64("doc_id").alias("h"))
+    return materialise(rows.mapInArrow(lean(encode), "doc_id long, tie string, size int, ids binary"), "token-ids", "zstd")
+
+
+def _flat(batch: pa.RecordBatch) -> tuple[np.ndarray, np.ndarray]:
+    """All ids of a batch of ``encoded``, and its rows' offsets into them."""
+    size, raw = batch.column("size").to_numpy(), batch.column("ids").to_pylist()
+    parts = [np.frombuffer(r, "<u2" if s == 2 else "<u4") for r, s in zip(raw, size.tolist(), strict=True)]
+    return np.concatenate(parts).astype(np.int64), np.concatenate([[0], np.cumsum([len(p) for p in parts])])
+
+
+def ranking(rows: DataFrame) -> np.ndarray:
+    """Ids by falling count over all rows of ``encoded``, ties by id; bounded by
+    the vocabulary."""
+
+    def count(batches):
+        total = np.zeros(1 << 16, np.int64)
+        for batch in batches:
+            if batch.num_rows:
+                n = np.bincount(_flat(batch)[0], minlength=len(total))
+                n[: len(total)] += total
+                total = n
         used = np.flatnonzero(total)
         yield pa.RecordBatch.from_arrays([pa.array(used), pa.array(total[used])], ["id", "n"])
 
-    rows = docs.select("text").mapInArrow(lean(count), "id long, n long").groupBy("id").agg(F.sum("n").alias("n"))
-    return np.array([r.id for r in rows.orderBy(F.desc("n"), "id").collect()], np.uint32)
+    counts = rows.select("size", "ids").mapInArrow(lean(count), "id long, n long").groupBy("id").agg(F.sum("n").alias("n"))
+    return np.array([r.id for r in counts.orderBy(F.desc("n"), "id").collect()], np.uint32)
 
 
 def write(docs: DataFrame, folder: str, path: str, end_id: int = 0) -> DataFrame:
@@ -86,7 +119,8 @@ def write(docs: DataFrame, folder: str, path: str, end_id: int = 0) -> DataFrame
     spark = docs.sparkSession
     prepare(spark)
     docs = docs.select(F.coalesce(F.col("doc_id").cast("long"), F.lit(-(1 << 63))).alias("doc_id"), F.coalesce("text", F.lit("")).alias("text"))
-    by_rank = ranking(docs, path, end_id)
+    rows = encoded(docs, path, end_id)
+    by_rank = ranking(rows)
     shared = spark.sparkContext.broadcast(by_rank)
     fs, place = open_store(folder)
     fs.create_dir(place, recursive=True)
@@ -94,7 +128,6 @@ def write(docs: DataFrame, folder: str, path: str, end_id: int = 0) -> DataFrame
     def save(batches):
         from pyspark import TaskContext
 
-        enc = tokens.encoder(path)
         by_rank = shared.value
         rank_of = np.zeros(max(int(by_rank.max(initial=0)), end_id) + 1, np.uint32)
         rank_of[by_rank] = np.arange(len(by_rank), dtype=np.uint32)
@@ -108,7 +141,7 @@ def write(docs: DataFrame, folder: str, path: str, end_id: int = 0) -> DataFrame
                 out = fs.open_output_stream(f"{place}/{name}")
                 out.write(MAGIC + struct.pack("<I", len(by_rank)) + by_rank.astype("<u4").tobytes())
             keys = batch.column("doc_id").to_numpy()
-            ids, off = tokens.with_end(*enc.encode(batch.column("text")), end_id)
+            ids, off = _flat(batch)
             lo = 0
             while lo < len(keys):
                 hi = max(lo + 1, int(np.searchsorted(off, off[lo] + FRAME_IDS, side="right")) - 1)
@@ -123,8 +156,10 @@ def write(docs: DataFrame, folder: str, path: str, end_id: int = 0) -> DataFrame
             out.close()
             yield pa.RecordBatch.from_arrays([pa.array([TaskContext.get().partitionId()]), pa.array([name]), pa.array([n_docs]), pa.array([n_ids])], ["part", "file", "n_docs", "n_ids"])
 
-    spread = docs.repartitionByRange("doc_id").sortWithinPartitions("doc_id", "text")
-    return materialise(spread.mapInArrow(lean(save), "part long, file string, n_docs long, n_ids long"), "token-manifest")
+    spread = rows.repartitionByRange("doc_id").sortWithinPartitions("doc_id", "tie").select("doc_id", "size", "ids")
+    manifest = materialise(spread.mapInArrow(lean(save), "part long, file string, n_docs long, n_ids long"), "token-manifest")
+    release(rows)
+    return manifest
 
 
 def frames(stream):
