@@ -123,3 +123,22 @@ def test_pair_quantile_is_exact_without_all_pairs(kind, monkeypatch):
     monkeypatch.setattr(baselines, "sq_distances", lambda a, b: most.__setitem__(0, max(most[0], len(a) * len(b))) or real(a, b))
     baselines.density_peaks(rng.random((3000, 2)), 3)
     assert most[0] < 3000 * 3000
+
+
+def test_three_way_compares_few_of_the_pairs(monkeypatch):
+    """The rest find their nearest core point without meeting all of them."""
+    rng = np.random.default_rng(12)
+    x = np.vstack([rng.normal(0.2, 0.03, (3000, 2)), rng.normal(0.8, 0.08, (1000, 2)), rng.integers(0, 5, (200, 2)) / 5.0])
+
+    def refuse(*a):
+        raise AssertionError("all rows against all core points")
+
+    monkeypatch.setattr(baselines.growing_map, "nearest", refuse)
+    got = baselines.three_way(x)
+    rho, near = baselines.knn_density(x, 10)
+    core = rho >= np.quantile(rho, 0.5)
+    cores = np.flatnonzero(core)
+    for i in np.flatnonzero(~core)[::7].tolist():
+        assert got[i] == got[cores[((x[cores] - x[i]) ** 2).sum(axis=1).argmin()]]
+    for i in cores[::7].tolist():
+        assert all(got[j] == got[i] for j in near[i].tolist() if core[j] and i in near[j])
