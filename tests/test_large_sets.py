@@ -109,3 +109,16 @@ def test_dbi_with_many_clusters(spark):
         want = np.where(gap > 0, (s[:, None] + s) / gap, -1).max(axis=1).mean()
     out = got.collect()
     assert [r.chunk_id for r in out] == [0] and out[0].dbi == pytest.approx(want, rel=1e-9)
+
+
+def test_predict_fits_the_model_once(spark):
+    df = spark.createDataFrame([(0, i, v) for i, v in enumerate(points(300).tolist())], "chunk_id long, obj_id long, x array<double>")
+    fits = spark.sparkContext.accumulator(0)
+
+    def fit(part):
+        fits.add(1)
+        return part.iloc[:2].assign(neuron=[0, 1], cluster=[0, 1], w=list(part["x"].iloc[:2]))[["neuron", "cluster", "w"]]
+
+    model = df.groupBy("chunk_id").applyInPandas(fit, "neuron long, cluster int, w array<double>")
+    assert pipeline.predict(df, model).count() == 300
+    assert fits.value == 1
