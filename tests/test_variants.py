@@ -57,3 +57,11 @@ def test_variants_equal_runs_of_their_own(spark, sf):
 def test_neighbours_are_looked_for_once_a_set(spark, sf, run):
     plan = run(spark, sf)._jdf.queryExecution().analyzed().toString()
     assert plan.count("FlatMapCoGroupsIn") >= 1 and "Union" not in plan
+
+
+def test_efficiency_times_all_runs_in_one_job(spark, sf):
+    spark.sparkContext.setJobGroup("efficiency", "")
+    got = experiments.efficiency(spark, sf, ("kmeans", "granule_tree"), parts=2)
+    jobs = spark.sparkContext.statusTracker().getJobIdsForGroup("efficiency")
+    assert [r[0] for r in got] == ["kmeans", "granule_tree"] * 2 and got[0][1] == got[1][1] < got[2][1] == got[3][1] == 10000
+    assert all(r[2] > 0 for r in got) and len(jobs) < 10
