@@ -122,3 +122,23 @@ def test_predict_fits_the_model_once(spark):
     model = df.groupBy("chunk_id").applyInPandas(fit, "neuron long, cluster int, w array<double>")
     assert pipeline.predict(df, model).count() == 300
     assert fits.value == 1
+
+
+def test_sharded_cells_cross_as_pairs(spark, monkeypatch):
+    """The driver holds a count for each pair of cells that meet, no table of all pairs."""
+    rng = np.random.default_rng(4)
+    x = np.vstack([rng.normal(c, 0.03, (300, 2)) for c in ((0.2, 0.2), (0.8, 0.8))])
+    df = spark.createDataFrame([(i, v.tolist()) for i, v in enumerate(x)], "obj_id long, x array<double>")
+    held = []
+    choose = pipeline.choose
+    monkeypatch.setattr(pipeline, "choose", lambda m, cell, cells, cross, s, p: held.append((m, cells, cross)) or choose(m, cell, cells, cross, s, p))
+    got = {r.obj_id: r.cluster for r in pipeline.cluster_sharded(df, shards=2).collect()}
+    m, cells, cross = held[0]
+    assert isinstance(cross, tuple) and len(cross[0]) < m.q * m.q
+    cell = growing_map.nearest(x, m.w)[0]
+    whole = merging.cell_stats(x, cell, m.q)
+    assert (cells.n == whole.n).all() and np.allclose(cells.s1, whole.s1) and np.allclose(cells.s2, whole.s2)
+    table = np.zeros((m.q, m.q))
+    table[cross[0], cross[1]] = cross[2]
+    assert (table == merging.cross_counts(merging.neighbours(x, 10), cell, m.q)).all()
+    assert len(got) == len(x) and len(set(got.values())) == 2
