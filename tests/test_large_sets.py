@@ -142,3 +142,21 @@ def test_sharded_cells_cross_as_pairs(spark, monkeypatch):
     table[cross[0], cross[1]] = cross[2]
     assert (table == merging.cross_counts(merging.neighbours(x, 10), cell, m.q)).all()
     assert len(got) == len(x) and len(set(got.values())) == 2
+
+
+@pytest.mark.parametrize("d", [1, 2, 4])
+def test_cutoff_density_looks_into_boxes_at_its_edge_only(d, monkeypatch):
+    rng = np.random.default_rng(d)
+    x = np.vstack([rng.normal(0.3, 0.05, (900, d)), rng.integers(0, 6, (600, d)) / 6.0, np.full((40, d), 0.5)])
+    every = ((x[:, None, :] - x[None, :, :]) ** 2).sum(axis=2)
+    upper = every[np.triu_indices(len(x), 1)]
+    for q in (0.0, 0.02, 0.3, 1.0):
+        assert baselines.pair_quantile(x, q, bins=64) == np.quantile(upper, q)
+    for d2 in (0.0, float(np.quantile(upper, 0.02)), 1e-3, 10.0):
+        assert (baselines.count_within(x, d2) == (every < d2).sum(axis=1)).all()
+    made, sq = [], merging._sq
+    monkeypatch.setattr(merging, "_sq", lambda a, b: made.append(len(a) * len(b)) or sq(a, b))
+    monkeypatch.setattr(baselines, "_row_blocks", lambda *a: pytest.fail("all pairs"))
+    wide = rng.normal(0.5, 0.2, (6000, 2))
+    baselines.density_peaks(wide, 4)
+    assert sum(made) < 6000 * 6000 * 0.75
