@@ -160,3 +160,60 @@ def test_cutoff_density_looks_into_boxes_at_its_edge_only(d, monkeypatch):
     wide = rng.normal(0.5, 0.2, (6000, 2))
     baselines.density_peaks(wide, 4)
     assert sum(made) < 6000 * 6000 * 0.75
+
+
+@pytest.mark.parametrize("d", [1, 2, 3])
+def test_objects_taken_together_train_as_one_at_a_time(d, monkeypatch):
+    """A large map compares an object with neurons near it, and ends up the same."""
+    rng = np.random.default_rng(d)
+    x = np.vstack([rng.normal(0.3, 0.05, (9000, d)), rng.random((3000, d)), rng.integers(0, 4, (2000, d)) / 4.0, rng.normal(0.9, 0.002, (3000, d))])
+    p = Params(rho=20)
+    one = growing_map.fit(x[::2] + 0.1, p, growing_map.fit(x, p))
+    compared = []
+    few = growing_map.Places.few
+    monkeypatch.setattr(growing_map.Places, "few", lambda self, *a: compared.append(len(a[0])) or few(self, *a))
+    monkeypatch.setattr(growing_map, "LARGE", 60)
+    got = growing_map.fit(x[::2] + 0.1, p, growing_map.fit(x, p))
+    assert sum(compared) > 10_000 and got.edges() == one.edges() and got.distances == one.distances
+    assert (got.w == one.w).all() and (got.hits == one.hits).all() and (got.subnet == one.subnet).all()
+    assert np.allclose(got.strain, one.strain, rtol=1e-9, atol=0)
+
+
+def test_bridges_over_empty_cells_by_parts():
+    rng = np.random.default_rng(2)
+    edges = [(int(a), int(b)) for a, b in rng.integers(0, 60, (90, 2)) if a != b]
+    n = rng.integers(0, 2, 60)
+    near = {i: set() for i in range(60)}
+    for a, b in edges:
+        near[a].add(b)
+        near[b].add(a)
+    for dead in np.flatnonzero(n == 0).tolist():
+        around = near.pop(dead)
+        for a in around & set(near):
+            near[a] = (near[a] | around) - {a, dead}
+    assert merging.bridged(edges, n) == {(min(a, b), max(a, b)) for a, bs in near.items() for b in bs if b in near}
+
+
+def test_warm_chunks_are_tasks_of_their_own(spark):
+    """Only training goes through the chunks in turn; one set's neighbours are shared."""
+    rng = np.random.default_rng(6)
+    rows = [(c, c * 1000 + i, v.tolist()) for c in range(6) for i, v in enumerate(rng.normal(0.2 + 0.05 * c + 0.5 * (rng.random(400) < 0.3)[:, None], 0.03, (400, 2)))]
+    df = spark.createDataFrame(rows, "chunk_id long, obj_id long, x array<double>")
+    p = Params(prune="idle", idle_chunks=2)
+    out = pipeline.cluster_in_order(df, p)
+    assert "FlatMapCoGroupsIn" in out._jdf.queryExecution().analyzed().toString()
+    state, won, want = None, {}, {}
+    for c in range(6):
+        x = np.array([v for d, _, v in rows if d == c])
+        f = pipeline.fit_chunk(x, Params(), state)
+        want |= {c * 1000 + i: int(v) for i, v in enumerate(f.labels)}
+        state = f.map
+        won |= {s: c for s in set(state.subnet.tolist()) if state.hits[state.subnet == s].sum() >= p.min_hits}
+        gone = np.array([c - won.get(int(s), c) >= p.idle_chunks for s in state.subnet])
+        if gone.any() and not gone.all():
+            state.drop(gone)
+    assert {r.obj_id: r.cluster for r in out.collect()} == want
+    one = pipeline.cluster(df)
+    assert "FlatMapCoGroupsIn" in one._jdf.queryExecution().analyzed().toString()
+    x = np.array([v for _, _, v in rows])
+    assert [r.cluster for r in one.orderBy("obj_id").collect()] == pipeline.fit_chunk(x, Params()).labels.tolist()
