@@ -5,7 +5,7 @@ import pytest
 
 from driftclust.operators import baselines, growing_map, merging, metrics
 from driftclust.params import Params
-from driftclust.plans import pipeline
+from driftclust.plans import experiments, pipeline
 
 
 def points(n, seed=3):
@@ -217,3 +217,12 @@ def test_warm_chunks_are_tasks_of_their_own(spark):
     assert "FlatMapCoGroupsIn" in one._jdf.queryExecution().analyzed().toString()
     x = np.array([v for _, _, v in rows])
     assert [r.cluster for r in one.orderBy("obj_id").collect()] == pipeline.fit_chunk(x, Params()).labels.tolist()
+
+
+@pytest.mark.parametrize("method", ["growing_map", "local_peaks", "three_way", "kmeans"])
+def test_whole_sets_share_the_search_for_neighbours(spark, method):
+    x = points(900)
+    df = spark.createDataFrame([(0, i, v.tolist()) for i, v in enumerate(x)], "chunk_id long, obj_id long, x array<double>")
+    whole = experiments.run_whole(df, method, 2)
+    assert ("FlatMapCoGroupsIn" in whole._jdf.queryExecution().analyzed().toString()) == (method != "kmeans")
+    assert sorted(whole.collect()) == sorted(experiments.run_method(df, method, 2).collect())
